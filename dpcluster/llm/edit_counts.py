@@ -44,7 +44,7 @@ class CountTree:
     """Sums of characters and tokens over the chunks of one text."""
 
     def __init__(self, codec: tokens.Codec, text: str, known: dict[str, bytes] | None = None):
-        if codec.cut is not None and codec.check is None:
+        if codec.kind == "words":
             raise ValueError("the tokenizer drops white space, so its chunks do not cover the text")
         self.codec = codec
         chunks = codec.chunks(text)

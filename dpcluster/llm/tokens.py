@@ -1,7 +1,8 @@
 """Exact, cached encoding of whole texts with a tokenizer file.
 
 A text is cut at places where no pre-token can cross, each distinct chunk is encoded once, and the
-ids are joined.  The cache outlives a task, as Python workers are reused, and is emptied when full.
+ids are joined.  The cache outlives a task, as Python workers are reused; of two generations the
+older goes when the younger is full.
 """
 
 from __future__ import annotations
@@ -11,12 +12,13 @@ import re
 from array import array
 from collections.abc import Iterable
 
-CACHE_CHUNKS = 500_000
+#: Chunks in a generation of the cache; two of them take some 400 MB.
+CACHE_CHUNKS = 1_000_000
 
-#: Chunks for tokenizers that drop white space: anything between ASCII white space.
-_BETWEEN = re.compile(r"[^ \t\n\r]+")
 #: Chunks for byte-level tokenizers: a word with the space before it, or a run of white space.
 _SPACED = re.compile(r" ?[^ \t\n\r]+|[ \t\n\r]+(?![^ \t\n\r])|[ \t\n\r]+")
+_BETWEEN = re.compile(r"[^ \t\n\r]+")
+_CONTROL = re.compile(r"[\x1c-\x1f]")
 #: White space on which regular-expression libraries differ; such texts are encoded whole.
 _ODD_SPACE = re.compile("[" + "".join(map(chr, (11, 12, 28, 29, 30, 31, 133, 160, 5760, *range(8192, 8203), 8232, 8233, 8239, 8287, 12288))) + "]")
 
@@ -37,12 +39,15 @@ class Codec:
         before, normal = spec.get("pre_tokenizer") or {}, spec.get("normalizer")
         squeezes = any(x.get("pattern") == {"Regex": r"\s+"} and x.get("content") == " " for x in (normal or {}).get("normalizers", []))
         splits = [x for x in before.get("pretokenizers", []) if x["type"] == "Split" and x.get("invert") and x["behavior"] == "Removed"]
-        self.cut, self.check = None, None
+        #: kind of chunks: "words" where the tokenizer drops white space, "spaced" for byte-level ones, or "whole"
+        self.kind = "whole"
         if squeezes and splits:
-            self.cut = _BETWEEN
+            self.kind = "words"
+            self.lowers = {"type": "Lowercase"} in normal["normalizers"]
         elif normal is None and before.get("type") == "ByteLevel" and before.get("use_regex") and not before.get("add_prefix_space"):
-            self.cut, self.check = _SPACED, _ODD_SPACE
+            self.kind = "spaced"
         self.known: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
         self.limit = cache_chunks
 
     def _plain(self, texts: list[str]) -> list[bytes]:
@@ -52,17 +57,25 @@ class Codec:
         """Pieces of a text whose ids, joined, are the ids of the text."""
         if not text:
             return []
-        if self.cut is None or "<|" in text or (self.check and self.check.search(text)):
+        if self.kind == "words" and "<|" not in text:
+            if text.isascii():  # white space as Rust has it, but for four control characters
+                return text.lower().split() if self.lowers and not _CONTROL.search(text) else _BETWEEN.findall(text)
+            return _BETWEEN.findall(text)
+        if self.kind == "whole" or "<|" in text or _ODD_SPACE.search(text):
             return [text]
-        return self.cut.findall(text)
+        return _SPACED.findall(text)
 
     def encode_chunks(self, lists: list[list[str]]) -> dict[str, bytes]:
         """The ids of every chunk in the lists."""
-        known = self.known
-        new = [c for c in set().union(*lists) if c not in known]
-        if len(known) + len(new) > self.limit:
-            known = self.known = {}
-            new = list(set().union(*lists))
+        chunks = set().union(*lists)
+        new = [c for c in chunks if c not in self.known]
+        if len(self.known) + len(new) > self.limit:
+            self.known, self.old = {}, self.known
+            new = list(chunks)
+        known, old = self.known, self.old
+        if old:
+            known.update((c, old[c]) for c in new if c in old)
+            new = [c for c in new if c not in known]
         for at in range(0, len(new), 20_000):
             part = new[at : at + 20_000]
             known.update(zip(part, self._plain(part)))
