@@ -1,11 +1,46 @@
-"""All queries of the library and the SQL that each can be held against."""
+"""All queries of the library and the SQL that each can be held against.
+
+Every query is deterministic (fixed noise keys, for tests only), doubles leave rounded to six
+places, and names are equal in both engines.  Queries without SQL are iterative or random by nature
+and are tested in ``tests``.
+"""
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+SQL: dict[str, str] = {}
+
+
+def query(name: str, sql: str | None = None):
+    """Registers a query, and its SQL where it has one."""
+
+    def add(f):
+        QUERIES[name] = f
+        if sql:
+            SQL[name] = sql
+        return f
+
+    return add
+
+
+def rounded(df: DataFrame, *keep: str) -> DataFrame:
+    return df.select(*(F.round(c, 6).alias(c) if t == "double" and c not in keep else F.col(c) for c, t in df.dtypes))
+
+
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    _load()
+    return dict(QUERIES)
+
 
-def queries() -> dict:
-    return {}
+def oracle_sql() -> dict[str, str]:
+    _load()
+    return dict(SQL)
 
 
-def oracle_sql() -> dict:
-    return {}
+def _load() -> None:
+    from dpcluster import catalog_methods, catalog_relational  # noqa: F401
