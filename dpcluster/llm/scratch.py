@@ -6,6 +6,7 @@ Lineage is cut with written Parquet tables, which survive lost executors.  The f
 
 from __future__ import annotations
 
+import gc
 import os
 import sys
 import tempfile
@@ -42,6 +43,11 @@ class Scratch:
         """A written table, as a relation of its own."""
         return self.spark.read.schema(schema).parquet(f"{self.root}/{label}")
 
+    def release(self) -> None:
+        """Lets Spark delete the shuffle files of plans that nothing refers to any more."""
+        gc.collect()
+        self.spark._jvm.System.gc()
+
     def drop(self, label: str = "") -> None:
         """Deletes one table, or all, once nothing reads it any more."""
         jvm, conf = self.spark._jvm, self.spark._jsc.hadoopConfiguration()
