@@ -1,6 +1,7 @@
 """Exact n-gram Jaccard join by token-combination prefixes, as components of near copies.
 
-Tokens are the distinct word n-grams of a document, as 64-bit hashes.  In one order for all - rare
+Tokens are the distinct word n-grams of a document, as 63-bit hashes whose first bits fall with the
+length of the n-gram: long ones are rare as a rule, and come first.  In one order for all - rare
 tokens first, then those that ``frequent`` documents or more hold near their head, by hash within -
 two documents that reach the threshold share a token in their prefixes.  So
 
@@ -9,7 +10,8 @@ two documents that reach the threshold share a token in their prefixes.  So
   ones, of which it indexes combinations of two neighbours.  The prefix is so long that two linked
   documents that share no rare token keep a neighbouring pair in common, whatever they differ in.
 
-The index is linear in the text.  Every candidate is verified on the whole sets.  A key that many
+The index is linear in the text.  A candidate must pass by its sizes, by the places of a shared key,
+and by short bitmaps of both sets, none of which drops a link, and is then verified on the whole sets.  A key that many
 documents share is not expanded into all pairs: each is compared with the first and the last of
 its key, the links are contracted into components, and only pairs of different components are
 compared after that.  A pair left out is one whose documents are connected already, so components
@@ -22,6 +24,7 @@ ignored; an empty table gives no rows.
 
 from __future__ import annotations
 
+import functools
 import math
 from hashlib import blake2b
 
@@ -33,7 +36,11 @@ from pyspark.sql import functions as F
 from dpcluster.llm import scratch
 from dpcluster.llm.scratch import Scratch
 
-FREQUENT = 24
+FREQUENT = 8
+ROUNDS = 3
+BITMAP = 1024
+#: Ids of candidates are broadcast up to so many, and joined by shuffle beyond.
+MAX_BROADCAST_IDS = 1_000_000
 MAX_FREQUENT_TOKENS = 2_000_000
 _WORDS: dict[bytes, int] = {}
 _M1, _M2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
@@ -57,10 +64,13 @@ def shingle_hashes(text: bytes | None, n: int) -> np.ndarray:
         known[w] = int.from_bytes(blake2b(w, digest_size=8).digest(), "little")
     h = np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
     size = min(n, len(words))
-    out = np.full(len(words) - size + 1, np.uint64(size))
+    out, count = np.full(len(words) - size + 1, np.uint64(size)), len(h) - size + 1
+    ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)))
+    lengths = ends[size - 1 :] - np.concatenate([[0], ends[: count - 1]])
     for i in range(size):
-        out = _mixed(out * _M1 + h[i : len(h) - size + 1 + i])
-    return np.unique(out.view(np.int64))
+        out = _mixed(out * _M1 + h[i : count + i])
+    rank = np.uint64(31) - np.minimum(lengths // size, 31).astype(np.uint64)
+    return np.unique(((out >> np.uint64(6)) | rank << np.uint64(58)).view(np.int64))
 
 
 class Plan:
@@ -86,48 +96,62 @@ class Plan:
         return min(size, self.prefix(size) + self.prefix(size) // 2 + 4)
 
 
+def bitmap(h: np.ndarray) -> bytes:
+    """One bit for each hash; two sets differ in as many tokens as in bits, or more."""
+    bits = np.zeros(BITMAP, np.uint8)
+    bits[(h.view(np.uint64) % np.uint64(BITMAP)).astype(np.int64)] = 1
+    return np.packbits(bits).tobytes()
+
+
+def maps_of(maps: list[bytes]) -> pa.Array:
+    return pa.ListArray.from_arrays(pa.array(np.arange(len(maps) + 1, dtype=np.int32) * (BITMAP // 64)), pa.array(np.frombuffer(b"".join(maps), np.int64)))
+
+
 def _summary(plan: Plan):
     def run(batches):
         for batch in batches:
-            sizes, sigs, heads = [], [], []
+            sizes, sigs, heads, maps = [], [], [], []
             for t in batch.column("text").cast(pa.binary()).to_pylist():
                 h = shingle_hashes(t, plan.n)
                 sizes.append(len(h))
                 sigs.append(blake2b(h.tobytes(), digest_size=16).digest())
                 heads.append(h[: plan.head(len(h))])
+                maps.append(bitmap(h))
             ends = np.cumsum([0, *map(len, heads)]).astype(np.int32)
             lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([*heads, np.zeros(0, np.int64)])))
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(sizes, pa.int64()), pa.array(sigs, pa.binary()), lists], names=["doc_id", "n", "sig", "head"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(sizes, pa.int64()), pa.array(sigs, pa.binary()), lists, maps_of(maps)], names=["doc_id", "n", "sig", "head", "bits"])
 
     return run
 
 
-def prefix_keys(h: np.ndarray, common: np.ndarray, plan: Plan) -> np.ndarray:
-    """Index keys of a set: single rare tokens, and hashed combinations of neighbouring frequent ones."""
+def prefix_keys(h: np.ndarray, common: np.ndarray, plan: Plan) -> tuple[np.ndarray, int]:
+    """Index keys of a set: single rare tokens, so many, and hashed combinations of neighbouring frequent ones."""
     size, need = len(h), plan.prefix(len(h))
     at = np.searchsorted(common, h)
     often = common[np.minimum(at, len(common) - 1)] == h if len(common) else np.zeros(size, bool)
     rare = h[~often]
     if len(rare) >= need:
-        return rare[:need]
+        return rare[:need], need
     more = h[often][: plan.extended(size)].view(np.uint64)
     pairs = _mixed(_mixed(more[:-1] * _M1) + more[1:] * _M2).view(np.int64)
-    return np.concatenate([rare, pairs])
+    return np.concatenate([rare, pairs]), len(rare)
 
 
 def _keys(plan: Plan, common):
     def run(batches):
         table = common.value
         for batch in batches:
-            sizes, sigs, keys = [], [], []
+            sizes, sigs, keys, singles = [], [], [], []
             for t in batch.column("text").cast(pa.binary()).to_pylist():
                 h = shingle_hashes(t, plan.n)
                 sizes.append(len(h))
                 sigs.append(blake2b(h.tobytes(), digest_size=16).digest())
-                keys.append(prefix_keys(h, table, plan) if len(h) else h)
+                got = prefix_keys(h, table, plan) if len(h) else (h, 0)
+                keys.append(got[0])
+                singles.append(got[1])
             ends = np.cumsum([0, *map(len, keys)]).astype(np.int32)
             lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([*keys, np.zeros(0, np.int64)])))
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(sizes, pa.int64()), pa.array(sigs, pa.binary()), lists], names=["doc_id", "n", "sig", "keys"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(sizes, pa.int64()), pa.array(sigs, pa.binary()), lists, pa.array(singles, pa.int32())], names=["doc_id", "n", "sig", "keys", "singles"])
 
     return run
 
@@ -169,7 +193,7 @@ def groups(docs: DataFrame, n: int = 3, percent: int = 90, frequent: int = FREQU
     spark, plan, tables = docs.sparkSession, Plan(n, percent), Scratch(docs.sparkSession, "jaccard")
     scratch.share_code(spark)
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    found = tables.write(source.mapInArrow(_summary(plan), "doc_id long, n long, sig binary, head array<long>"), "found")
+    found = tables.write(source.mapInArrow(_summary(plan), "doc_id long, n long, sig binary, head array<long>, bits array<long>"), "found")
     classes = tables.write(found.where("n > 0").groupBy("n", "sig").agg(F.min("doc_id").alias("rep"), F.count("*").alias("members")), "classes")
 
     counted = found.where("n > 0").select(F.explode("head").alias("token")).groupBy("token").count()
@@ -180,42 +204,60 @@ def groups(docs: DataFrame, n: int = 3, percent: int = 90, frequent: int = FREQU
     common = spark.sparkContext.broadcast(np.sort(often.astype(np.int64)))
 
     others = found.join(classes.where("members > 1"), ["n", "sig"]).where("doc_id <> rep").select("doc_id", "sig").distinct()
-    index = source.mapInArrow(_keys(plan, common), "doc_id long, n long, sig binary, keys array<long>").where("n > 0 and doc_id is not null")
-    index = index.join(others, ["doc_id", "sig"], "left_anti").select("doc_id", "n", F.explode("keys").alias("key"))
-    index = tables.write(index, "index")
-    ends = index.groupBy("key").agg(F.count("*").alias("c"), F.min(F.struct("doc_id", "n")).alias("lo"), F.max(F.struct("doc_id", "n")).alias("hi")).where("c > 1 and lo.doc_id < hi.doc_id")
-    shared = tables.write(index.join(ends, "key").select("key", "doc_id", "n", "lo", "hi"), "shared")
+    index = source.mapInArrow(_keys(plan, common), "doc_id long, n long, sig binary, keys array<long>, singles int").where("n > 0 and doc_id is not null")
+    index = index.join(others, ["doc_id", "sig"], "left_anti").select("doc_id", "n", "singles", F.posexplode("keys").alias("at", "key"))
+    index = tables.write(index.select("key", "doc_id", F.col("n").cast("int").alias("n"), F.least("at", "singles").alias("at")), "index")
+    several = index.groupBy("key").agg(F.count("*").cast("int").alias("c")).where("c > 1")
+    held = tables.write(index.join(several, "key").withColumn("comp", F.col("doc_id")), "held_0")
     tables.drop("index")
-
-    near = lambda a, b: 100 * F.least(a, b) >= percent * F.greatest(a, b)
-    stars = shared.select("doc_id", "n", F.explode(F.array("lo", "hi")).alias("c")).where((F.col("doc_id") != F.col("c.doc_id")) & near(F.col("n"), F.col("c.n")))
-    pairs = stars.select(F.least("doc_id", "c.doc_id").alias("a"), F.greatest("doc_id", "c.doc_id").alias("b")).distinct()
-    first = _verified(source, tables, plan, pairs, "first")
-    joined = tables.write(components(first, tables, "star"), "joined")
-
-    held = tables.write(shared.select("key", "doc_id", "n").join(joined, F.col("doc_id") == F.col("node"), "left").select("key", "doc_id", "n", F.coalesce("component", "doc_id").alias("comp")), "held")
-    tables.drop("shared")
+    tables.release()
+
+    def near(x, y):
+        """Sizes allow the threshold, and so does what is left if nothing before a single key, or no single key, is shared."""
+        a, b, i, j = (F.col(c) for c in (f"{x}.n", f"{y}.n", f"{x}.at", f"{y}.at"))
+        return (100 * F.least(a, b) >= percent * F.greatest(a, b)) & ((100 + percent) * F.least(a - i, b - j) >= percent * (a + b))
+
+    def pairs(df, x, y):
+        return df.where(near(x, y) & (F.col(f"{x}.doc_id") != F.col(f"{y}.doc_id"))).select(F.least(f"{x}.doc_id", f"{y}.doc_id").alias("a"), F.greatest(f"{x}.doc_id", f"{y}.doc_id").alias("b")).distinct()
+
+    links, row = [], F.struct("doc_id", "n", "at", "comp")
+    for i in range(ROUNDS):
+        # of each key that joins several components: its first, last and main document; each document meets those of its most common such key
+        ends = held.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y"), F.min(row).alias("lo"), F.max(row).alias("hi"), F.min_by(row, F.xxhash64("doc_id", F.lit(i))).alias("main")).where("x < y").drop("x", "y")
+        left = tables.write(held.join(ends, "key"), f"mixed_{i}")
+        tables.drop(f"held_{i}")
+        end = left.select("doc_id", row.alias("x"), "c", "key", "lo", "hi", "main")
+        kinds = ("lo", "hi", "main") if i == 0 else ("main",)
+        best = [F.max_by(F.struct("x", F.col(e).alias("y")), F.when(near("x", e) & (F.col("x.comp") != F.col(f"{e}.comp")), F.struct("c", "key"))).alias(e) for e in kinds]
+        met = end.groupBy("doc_id").agg(*best).select(F.explode(F.array(*kinds)).alias("p")).where("p is not null").select("p.x", "p.y")
+        links.append(_verified(source, found, tables, plan, pairs(met, "x", "y"), f"star_{i}"))
+        joined = tables.write(components(functools.reduce(DataFrame.unionAll, links), tables, f"star_{i}_parts"), f"joined_{i}")
+        held = left.drop("comp", "lo", "hi", "main").join(joined, F.col("doc_id") == F.col("node"), "left").select("key", "doc_id", "n", "at", "c", F.coalesce("component", "doc_id").alias("comp"))
+        held = tables.write(held, f"held_{i + 1}")
+        tables.drop(f"mixed_{i}")
+        tables.release()
     mixed = held.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y"), F.min_by("comp", F.xxhash64("doc_id", "key")).alias("main")).where("x < y").select("key", "main")
     left = tables.write(held.join(mixed, "key"), "mixed")
-    small, every = left.where("comp <> main").alias("s"), left.alias("e")
-    rest = small.join(every, (F.col("s.key") == F.col("e.key")) & (F.col("s.comp") != F.col("e.comp")) & near(F.col("s.n"), F.col("e.n")))
-    rest = rest.select(F.least("s.doc_id", "e.doc_id").alias("a"), F.greatest("s.doc_id", "e.doc_id").alias("b")).distinct()
-    second = _verified(source, tables, plan, rest, "second")
-    tables.drop("held")
-    tables.drop("mixed")
-    whole = components(first.unionAll(second), tables, "all")
-    reps = found.drop("head").join(classes.select("n", "sig", "rep"), ["n", "sig"], "left")
+    small, every = left.where("comp <> main").alias("s"), tables.read("mixed", left.schema).alias("e")
+    rest = small.join(every, (F.col("s.key") == F.col("e.key")) & (F.col("s.comp") != F.col("e.comp")) & near("s", "e"))
+    links.append(_verified(source, found, tables, plan, pairs(rest, "s", "e"), "rest"))
+    whole = components(functools.reduce(DataFrame.unionAll, links), tables, "all")
+    reps = found.drop("head", "bits").join(classes.select("n", "sig", "rep"), ["n", "sig"], "left")
     return reps.join(whole, F.col("rep") == F.col("node"), "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "rep", "doc_id").alias("component_id"))
 
 
-def _verified(source: DataFrame, tables: Scratch, plan: Plan, pairs: DataFrame, name: str) -> DataFrame:
-    """The pairs that reach the threshold on their whole sets."""
-    pairs = tables.write(pairs, f"{name}_pairs")
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    sets = tables.write(source.join(ids, "doc_id", "left_semi").mapInArrow(_sets(plan), "doc_id long, tokens array<long>"), f"{name}_sets")
+def _verified(source: DataFrame, found: DataFrame, tables: Scratch, plan: Plan, pairs: DataFrame, name: str) -> DataFrame:
+    """The pairs that reach the threshold: first by their bitmaps, then on their whole sets."""
+    one, two = (found.select(F.col("doc_id").alias(i), F.col("n").alias(f"n{i}"), F.col("bits").alias(f"bits{i}")) for i in "ab")
+    apart = F.aggregate(F.zip_with("bitsa", "bitsb", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
+    hopeful = pairs.join(one, "a").join(two, "b").where((100 + plan.percent) * apart <= (100 - plan.percent) * (F.col("na") + F.col("nb"))).select("a", "b").distinct()
+    hopeful = tables.write(hopeful, f"{name}_pairs")
+    ids = tables.write(hopeful.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), f"{name}_ids")
+    few = ids.count() <= MAX_BROADCAST_IDS
+    sets = tables.write(source.join(F.broadcast(ids) if few else ids, "doc_id", "left_semi").mapInArrow(_sets(plan), "doc_id long, tokens array<long>"), f"{name}_sets")
     one, two = sets.select(F.col("doc_id").alias("a"), F.col("tokens").alias("x")), sets.select(F.col("doc_id").alias("b"), F.col("tokens").alias("y"))
     both = F.size(F.array_intersect("x", "y"))
-    linked = pairs.join(one, "a").join(two, "b").where(100 * both >= plan.percent * (F.size("x") + F.size("y") - both)).select("a", "b")
+    linked = hopeful.join(one, "a").join(two, "b").where(100 * both >= plan.percent * (F.size("x") + F.size("y") - both)).select("a", "b")
     out = tables.write(linked, name)
     tables.drop(f"{name}_sets")
     return out
