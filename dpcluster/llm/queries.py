@@ -63,7 +63,7 @@ def queries():
 #: Exact searches are plain SQL over whole tables; the mix is too, but for the order of its keys.
 TOP_K_SQL = """
 WITH v AS (
-  SELECT vec_id, list_transform(embedding, x -> CAST(floor(64.0 * CAST(x AS DOUBLE)) AS BIGINT)) AS e
+  SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(64.0 * CAST(x AS DOUBLE)) AS BIGINT)) AS e
   FROM embeddings WHERE embedding IS NOT NULL
 ),
 s AS (
