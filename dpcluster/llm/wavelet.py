@@ -39,15 +39,17 @@ def encode(ids: np.ndarray, doc_ids, lengths, block: int = BLOCK) -> bytes:
     n, planes = len(ids), max(1, int(ids.max(initial=0)).bit_length())
     docs = zlib.compress(np.asarray(doc_ids, "<i8").tobytes() + np.asarray(lengths, "<u4").tobytes(), 1)
     zeros, meta, body, end = [], [], [], 0
-    at = ids.astype("<u4")
+    at = ids.astype(np.uint16 if planes <= 16 else np.uint32)
     for p in range(planes - 1, -1, -1):
-        bit = (at >> np.uint32(p)) & np.uint32(1) == 1
+        bit = (at & at.dtype.type(1 << p)).astype(bool)
         packed = np.packbits(bit)
         ones = np.add.reduceat(np.bitwise_count(packed).astype("<u8"), np.arange(0, len(packed), block)) if n else np.zeros(0, "<u8")
         ranks, ends, flags = np.cumsum(ones) - ones, [], []
+        useful = True  # a plane whose first block does not shrink is stored as it is
         for i in range(0, len(packed), block):
             raw = packed[i : i + block].tobytes()
-            small = zlib.compress(raw, 1)
+            small = zlib.compress(raw, 1) if useful else raw
+            useful = useful and len(small) < 0.97 * len(raw)
             flags.append(len(small) < len(raw))
             body.append(small if flags[-1] else raw)
             end += len(body[-1])
@@ -145,16 +147,16 @@ class Shard:
 
     def decode(self) -> np.ndarray:
         """All ids, from the last plane to the first."""
-        at = np.zeros(self.n, "<u4")
+        at = np.zeros(self.n, np.uint16 if self.planes <= 16 else np.uint32)
         for p in range(self.planes - 1, -1, -1):
             blocks = [self._block(p, i) for i in range(len(self.meta[p][0]))]
             bit = (np.concatenate(blocks)[: self.n] if blocks else np.zeros(0, "u1")) == 1
             for key in [k for k in self.kept if k[0] == p]:
                 del self.kept[key]
             up, z = np.empty_like(at), int(self.zeros[p])
-            up[~bit], up[bit] = at[:z], at[z:] | np.uint32(1 << (self.planes - 1 - p))
+            up[~bit], up[bit] = at[:z], at[z:] | at.dtype.type(1 << (self.planes - 1 - p))
             at = up
-        return at
+        return at.astype("<u4")
 
 
 _SHARDS = pa.schema([("part", pa.int32()), ("shard", pa.int32()), ("n_docs", pa.int64()), ("n_tokens", pa.int64()), ("payload", pa.binary())])
