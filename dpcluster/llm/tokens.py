@@ -12,8 +12,8 @@ import re
 from array import array
 from collections.abc import Iterable
 
-#: Chunks in a generation of the cache; two of them take some 400 MB.
-CACHE_CHUNKS = 1_000_000
+#: Chunks in a generation of the cache; two of them take some 250 MB.
+CACHE_CHUNKS = 600_000
 
 #: Chunks for byte-level tokenizers: a word with the space before it, or a run of white space.
 _SPACED = re.compile(r" ?[^ \t\n\r]+|[ \t\n\r]+(?![^ \t\n\r])|[ \t\n\r]+")
@@ -122,3 +122,10 @@ def slices(columns: Iterable, size: int = 8_000_000):
             start, total = i + 1, 0
     if start < len(lists[-1]):
         yield [x[start:] for x in lists]
+
+
+def small_batches(batches, rows: int = 256):
+    """Record batches in runs of a few rows, so that few texts are Python objects at a time."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
