@@ -30,14 +30,15 @@ from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from dpcluster.llm import scratch
 from dpcluster.llm.scratch import Scratch
+from dpcluster.llm.tokens import small_batches
 
 FREQUENT = 8
-ROUNDS = 3
+ROUNDS = 1
 BITMAP = 1024
 #: Ids of candidates are broadcast up to so many, and joined by shuffle beyond.
 MAX_BROADCAST_IDS = 1_000_000
@@ -58,7 +59,7 @@ def shingle_hashes(text: bytes | None, n: int) -> np.ndarray:
     if not words:
         return np.zeros(0, np.int64)
     known = _WORDS
-    if len(known) > 400_000:
+    if len(known) > 200_000:
         known.clear()
     for w in set(words).difference(known):
         known[w] = int.from_bytes(blake2b(w, digest_size=8).digest(), "little")
@@ -91,6 +92,13 @@ class Plan:
     def extended(self, size: int) -> int:
         return self.prefix(size) + 1 + (100 - self.percent) * size // self.percent
 
+    def close(self, x: Column, y: Column, sizes: Column) -> Column:
+        """The bitmaps differ in no more bits than linked sets may differ in tokens."""
+        apart = F.bit_count(x[0].bitwiseXOR(y[0]))
+        for i in range(1, BITMAP // 64):
+            apart = apart + F.bit_count(x[i].bitwiseXOR(y[i]))
+        return (100 + self.percent) * apart <= (100 - self.percent) * sizes
+
     def head(self, size: int) -> int:
         """How far tokens are counted."""
         return min(size, self.prefix(size) + self.prefix(size) // 2 + 4)
@@ -109,7 +117,7 @@ def maps_of(maps: list[bytes]) -> pa.Array:
 
 def _summary(plan: Plan):
     def run(batches):
-        for batch in batches:
+        for batch in small_batches(batches):
             sizes, sigs, heads, maps = [], [], [], []
             for t in batch.column("text").cast(pa.binary()).to_pylist():
                 h = shingle_hashes(t, plan.n)
@@ -140,7 +148,7 @@ def prefix_keys(h: np.ndarray, common: np.ndarray, plan: Plan) -> tuple[np.ndarr
 def _keys(plan: Plan, common):
     def run(batches):
         table = common.value
-        for batch in batches:
+        for batch in small_batches(batches):
             sizes, sigs, keys, singles = [], [], [], []
             for t in batch.column("text").cast(pa.binary()).to_pylist():
                 h = shingle_hashes(t, plan.n)
@@ -158,7 +166,7 @@ def _keys(plan: Plan, common):
 
 def _sets(plan: Plan):
     def run(batches):
-        for batch in batches:
+        for batch in small_batches(batches):
             sets = [shingle_hashes(t, plan.n) for t in batch.column("text").cast(pa.binary()).to_pylist()]
             ends = np.cumsum([0, *map(len, sets)]).astype(np.int32)
             lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([*sets, np.zeros(0, np.int64)])))
@@ -202,6 +210,10 @@ def groups(docs: DataFrame, n: int = 3, percent: int = 90, frequent: int = FREQU
     least = max(frequent, math.ceil(total / MAX_FREQUENT_TOKENS))
     often = counted.where(F.col("count") >= least).select("token").toArrow().column("token").to_numpy()
     common = spark.sparkContext.broadcast(np.sort(often.astype(np.int64)))
+    found = tables.write(found.drop("head"), "sizes")  # the heads are no longer needed
+    del counted
+    tables.drop("found")
+    tables.release()
 
     others = found.join(classes.where("members > 1"), ["n", "sig"]).where("doc_id <> rep").select("doc_id", "sig").distinct()
     index = source.mapInArrow(_keys(plan, common), "doc_id long, n long, sig binary, keys array<long>, singles int").where("n > 0 and doc_id is not null")
@@ -237,20 +249,22 @@ def groups(docs: DataFrame, n: int = 3, percent: int = 90, frequent: int = FREQU
         tables.drop(f"mixed_{i}")
         tables.release()
     mixed = held.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y"), F.min_by("comp", F.xxhash64("doc_id", "key")).alias("main")).where("x < y").select("key", "main")
-    left = tables.write(held.join(mixed, "key"), "mixed")
+    # bitmaps travel with what is left, so that the join itself drops what can't be a link
+    bits = found.select(F.col("doc_id").alias("node"), "bits")
+    left = tables.write(held.join(mixed, "key").join(bits, F.col("doc_id") == F.col("node")).drop("node"), "mixed")
     small, every = left.where("comp <> main").alias("s"), tables.read("mixed", left.schema).alias("e")
-    rest = small.join(every, (F.col("s.key") == F.col("e.key")) & (F.col("s.comp") != F.col("e.comp")) & near("s", "e"))
+    close = plan.close(F.col("s.bits"), F.col("e.bits"), F.col("s.n") + F.col("e.n"))
+    rest = small.join(every, (F.col("s.key") == F.col("e.key")) & (F.col("s.comp") != F.col("e.comp")) & near("s", "e") & close)
     links.append(_verified(source, found, tables, plan, pairs(rest, "s", "e"), "rest"))
     whole = components(functools.reduce(DataFrame.unionAll, links), tables, "all")
-    reps = found.drop("head", "bits").join(classes.select("n", "sig", "rep"), ["n", "sig"], "left")
+    reps = found.drop("bits").join(classes.select("n", "sig", "rep"), ["n", "sig"], "left")
     return reps.join(whole, F.col("rep") == F.col("node"), "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "rep", "doc_id").alias("component_id"))
 
 
 def _verified(source: DataFrame, found: DataFrame, tables: Scratch, plan: Plan, pairs: DataFrame, name: str) -> DataFrame:
     """The pairs that reach the threshold: first by their bitmaps, then on their whole sets."""
     one, two = (found.select(F.col("doc_id").alias(i), F.col("n").alias(f"n{i}"), F.col("bits").alias(f"bits{i}")) for i in "ab")
-    apart = F.aggregate(F.zip_with("bitsa", "bitsb", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
-    hopeful = pairs.join(one, "a").join(two, "b").where((100 + plan.percent) * apart <= (100 - plan.percent) * (F.col("na") + F.col("nb"))).select("a", "b").distinct()
+    hopeful = pairs.join(one, "a").join(two, "b").where(plan.close(F.col("bitsa"), F.col("bitsb"), F.col("na") + F.col("nb"))).select("a", "b").distinct()
     hopeful = tables.write(hopeful, f"{name}_pairs")
     ids = tables.write(hopeful.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), f"{name}_ids")
     few = ids.count() <= MAX_BROADCAST_IDS
