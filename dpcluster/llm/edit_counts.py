@@ -14,6 +14,7 @@ ignored.
 
 from __future__ import annotations
 
+import itertools
 import re
 
 import numpy as np
@@ -59,23 +60,26 @@ class CountTree:
         while at > 1:
             self.sums[at // 2 : at] = self.sums[at : 2 * at].reshape(-1, 2, 2).sum(1)
             at //= 2
+        # single places are read and set from here on, for which lists are faster
+        self.chars, self.toks = self.sums[:, 0].tolist(), self.sums[:, 1].tolist()
+        del self.sums
         self.encoded = 0
 
     @property
     def tokens(self) -> int:
-        return int(self.sums[1, 1])
+        return self.toks[1]
 
     @property
     def length(self) -> int:
-        return int(self.sums[1, 0])
+        return self.chars[1]
 
     def find(self, at: int) -> tuple[int, int]:
         """The leaf that holds a character, and the characters before that leaf."""
         node, before = 1, 0
         while node < self.size:
             node *= 2
-            if at - before >= self.sums[node, 0]:
-                before += int(self.sums[node, 0])
+            if at - before >= self.chars[node]:
+                before += self.chars[node]
                 node += 1
         return node - self.size, before
 
@@ -83,9 +87,10 @@ class CountTree:
         if leaf < len(self.leaves):
             self.leaves[leaf] = chunks
         node = leaf + self.size
-        change = np.array([sum(map(len, chunks)), n_tokens]) - self.sums[node]
+        more, tokens_more = sum(map(len, chunks)) - self.chars[node], n_tokens - self.toks[node]
         while node:
-            self.sums[node] += change
+            self.chars[node] += more
+            self.toks[node] += tokens_more
             node //= 2
 
     def edit(self, start: int, end: int, new: str) -> int:
@@ -104,8 +109,8 @@ class CountTree:
                 before -= len(context)
             first = step
         last, here = first, before
-        while last < len(self.leaves) and here + int(self.sums[self.size + last, 0]) <= end:
-            here += int(self.sums[self.size + last, 0])
+        while last < len(self.leaves) and here + self.chars[self.size + last] <= end:
+            here += self.chars[self.size + last]
             last += 1
         # widen to the right until the cut of the changed text meets an old boundary
         margin = 2
@@ -117,9 +122,9 @@ class CountTree:
             if stop == len(self.leaves):
                 break
             # the chunk after the edit must begin where an old leaf began, and not be the last one seen
-            ends, bounds, total = np.cumsum([len(c) for c in chunks]), [], before
+            ends, bounds, total = list(itertools.accumulate(map(len, chunks))), [], before
             for leaf in range(first, stop):
-                total += int(self.sums[self.size + leaf, 0])
+                total += self.chars[self.size + leaf]
                 bounds.append(total)
             shift = len(new) - (end - start)
             # what follows the boundary must hold a mark or letter, else a run of white space may go on
@@ -127,15 +132,17 @@ class CountTree:
             meets = [b for b in bounds[:-1] if end < b < solid and b + shift - before in ends]
             if meets:
                 stop = first + bounds.index(meets[0]) + 1
-                kept = int(np.flatnonzero(ends == meets[0] + shift - before)[0]) + 1
+                kept = ends.index(meets[0] + shift - before) + 1
                 chunks = chunks[:kept]
                 break
             margin *= 2
         known = self.codec.encode_chunks([chunks])
-        for leaf in range(first + 1, stop):
-            if self.leaves[leaf]:
-                self._set(leaf, [], 0)
-        self._set(first, chunks, sum(len(known[c]) >> 2 for c in chunks))
+        # one chunk a leaf, so that leaves stay small however many edits come
+        for leaf in range(first, stop):
+            i = leaf - first
+            part = chunks[i : i + 1] if leaf < stop - 1 else chunks[i:]
+            if part or self.leaves[leaf]:
+                self._set(leaf, part, sum(len(known[c]) >> 2 for c in part))
         self.encoded += len(chunks)
         return len(chunks)
 
