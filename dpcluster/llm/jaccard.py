@@ -26,6 +26,7 @@ from __future__ import annotations
 
 import functools
 import math
+import re
 from hashlib import blake2b
 
 import numpy as np
@@ -43,7 +44,8 @@ BITMAP = 1024
 #: Ids of candidates are broadcast up to so many, and joined by shuffle beyond.
 MAX_BROADCAST_IDS = 1_000_000
 MAX_FREQUENT_TOKENS = 2_000_000
-_WORDS: dict[bytes, int] = {}
+#: Texts are hashed in pieces of so many bytes, cut at white space.
+PIECE = 1 << 20
 _M1, _M2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 
 
@@ -53,25 +55,64 @@ def _mixed(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(32))
 
 
+def _byte_values() -> np.ndarray:
+    """A random number for each byte: the same for both cases of a letter, 0 for white space."""
+    values = _mixed(np.arange(1, 257, dtype=np.uint64) * _M1)
+    values[65:91] = values[97:123]
+    values[[9, 10, 11, 12, 13, 32]] = 0
+    return values
+
+
+_VALUES, _SPACE = _byte_values(), re.compile(rb"[\x20\x09-\x0D]")
+_BASE = 0xA0761D6478BD642F
+_POWERS: dict[int, np.ndarray] = {}
+
+
+def _powers(base: int, n: int) -> np.ndarray:
+    """Powers of an odd number modulo 2^64, from 0 on."""
+    if len(_POWERS.get(base, ())) < n:
+        steps = np.full(1 << (n - 1).bit_length(), base, np.uint64)
+        steps[0] = 1
+        _POWERS[base] = np.multiply.accumulate(steps)
+    return _POWERS[base][:n]
+
+
+def word_hashes(text: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes and lengths of the words, whatever the case of ASCII letters: polynomials in the bytes, all at once."""
+    hashes, lengths, at = [], [], 0
+    while at < len(text):
+        cut = _SPACE.search(text, at + PIECE) if at + PIECE < len(text) else None
+        stop = cut.start() if cut else len(text)
+        values = _VALUES[np.frombuffer(text, np.uint8, stop - at, at)]
+        inside = np.zeros(len(values) + 2, bool)
+        inside[1:-1] = values != 0
+        edges = np.flatnonzero(inside[1:] != inside[:-1])
+        starts = edges[::2]
+        if len(starts):
+            values *= _powers(_BASE, len(values))
+            hashes.append(np.add.reduceat(values, starts) * _powers(pow(_BASE, -1, 1 << 64), len(values))[starts])
+            lengths.append(edges[1::2] - starts)
+        at = stop
+    if not hashes:
+        return np.zeros(0, np.uint64), np.zeros(0, np.int64)
+    return (hashes[0], lengths[0]) if len(hashes) == 1 else (np.concatenate(hashes), np.concatenate(lengths))
+
+
 def shingle_hashes(text: bytes | None, n: int) -> np.ndarray:
     """Sorted distinct hashes (signed) of the word n-grams; of all words as one, if there are fewer."""
-    words = (text or b"").lower().split()  # ASCII letters and ASCII white space alone, as bytes
-    if not words:
+    h, widths = word_hashes(text or b"")
+    if not len(h):
         return np.zeros(0, np.int64)
-    known = _WORDS
-    if len(known) > 200_000:
-        known.clear()
-    for w in set(words).difference(known):
-        known[w] = int.from_bytes(blake2b(w, digest_size=8).digest(), "little")
-    h = np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
-    size = min(n, len(words))
-    out, count = np.full(len(words) - size + 1, np.uint64(size)), len(h) - size + 1
-    ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)))
-    lengths = ends[size - 1 :] - np.concatenate([[0], ends[: count - 1]])
+    h, size = _mixed(h), min(n, len(h))
+    count = len(h) - size + 1
+    out, lengths = np.full(count, np.uint64(size)), np.zeros(count, np.int64)
     for i in range(size):
         out = _mixed(out * _M1 + h[i : count + i])
+        lengths += widths[i : count + i]
     rank = np.uint64(31) - np.minimum(lengths // size, 31).astype(np.uint64)
-    return np.unique(((out >> np.uint64(6)) | rank << np.uint64(58)).view(np.int64))
+    out = ((out >> np.uint64(6)) | rank << np.uint64(58)).view(np.int64)
+    out.sort()
+    return out[np.concatenate([[True], out[1:] != out[:-1]])]
 
 
 class Plan:
