@@ -116,9 +116,11 @@ simple("centroids_as_arrays", "SELECT c_nationkey, array_to_string(list_sort(lis
 query("nonempty_cells", f"SELECT count(DISTINCT cell) AS n FROM ({_cells_sql('D3', S2)}) q")(lambda spark, sf: D["D3"].points(spark, sf).agg(F.countDistinct(g.cell_id(names(2), S2)).alias("n")))
 query("capacity_estimates")(lambda spark, sf: table(spark, sf, "lineitem").agg(F.approx_count_distinct("l_partkey").alias("parts"), F.percentile_approx("l_quantity", 0.5).alias("median")))
 simple("profile_columns", "SELECT round(quantile_cont(l_quantity, 0.25), 6) AS q1, round(var_samp(l_tax), 6) AS v, round(corr(l_quantity, l_extendedprice), 6) AS c FROM lineitem", lambda t: rounded(t("lineitem").agg(F.percentile("l_quantity", F.lit(0.25)).alias("q1"), F.var_samp("l_tax").alias("v"), F.corr("l_quantity", "l_extendedprice").alias("c"))))
-_G = [F.least(F.floor(F.col(f"x{i}") * 4 + 4), F.lit(7)).alias(f"g{i}") for i in range(3)]
+def _bins():
+    return [F.least(F.floor(F.col(f"x{i}") * 4 + 4), F.lit(7)).alias(f"g{i}") for i in range(3)]
+
 _GSQL = f"(SELECT {', '.join(f'least(CAST(floor(x{i} * 4 + 4) AS BIGINT), 7) AS g{i}' for i in range(3))} FROM ({D['D4'].points_sql()}) p) q"
-query("grid_marginals_cube", f"SELECT g0, g1, g2, count(*) AS n FROM {_GSQL} GROUP BY CUBE (g0, g1, g2)")(lambda spark, sf: D["D4"].points(spark, sf).select(*_G).cube("g0", "g1", "g2").agg(F.count("*").alias("n")))
+query("grid_marginals_cube", f"SELECT g0, g1, g2, count(*) AS n FROM {_GSQL} GROUP BY CUBE (g0, g1, g2)")(lambda spark, sf: D["D4"].points(spark, sf).select(*_bins()).cube("g0", "g1", "g2").agg(F.count("*").alias("n")))
 simple("summary_rollup", "SELECT l_returnflag, l_linestatus, count(*) AS n, CAST(grouping(l_returnflag) AS INTEGER) AS a, CAST(grouping(l_linestatus) AS INTEGER) AS b FROM lineitem GROUP BY ROLLUP (l_returnflag, l_linestatus)", lambda t: t("lineitem").rollup("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), F.grouping("l_returnflag").cast("int").alias("a"), F.grouping("l_linestatus").cast("int").alias("b")))
 
 
@@ -129,10 +131,14 @@ def _(spark, sf):
 
 
 query("negative_cells", f"SELECT count(*) FILTER (WHERE n < 0) AS negative, round(sum(n) FILTER (WHERE n < 0), 6) AS total FROM ({release_sql('D3', S2, 1.0)}) r")(lambda spark, sf: rounded(_release(spark, sf).cells.agg(F.count_if(F.col("n") < 0).alias("negative"), F.sum(F.when(F.col("n") < 0, F.col("n"))).alias("total"))))
-_RANKS = Window.partitionBy("c_nationkey").orderBy(F.desc("c_acctbal"), "c_custkey")
-simple("rank_candidates", "SELECT c_custkey, CAST(row_number() OVER w AS INTEGER) AS i, CAST(rank() OVER w AS INTEGER) AS r, CAST(dense_rank() OVER w AS INTEGER) AS d, round(percent_rank() OVER w, 6) AS p, CAST(ntile(4) OVER w AS INTEGER) AS t FROM customer WINDOW w AS (PARTITION BY c_nationkey ORDER BY c_acctbal DESC, c_custkey)", lambda t: rounded(t("customer").select("c_custkey", F.row_number().over(_RANKS).alias("i"), F.rank().over(_RANKS).alias("r"), F.dense_rank().over(_RANKS).alias("d"), F.percent_rank().over(_RANKS).alias("p"), F.ntile(4).over(_RANKS).alias("t"))))
-_USER = Window.partitionBy("user_id").orderBy("ts", "event_id")
-simple("centroid_moves", "SELECT event_id, round(value - lag(value) OVER w, 6) AS back, round(lead(value) OVER w, 6) AS next, round(first_value(value) OVER w, 6) AS first FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)", lambda t: rounded(t("events").select("event_id", (F.col("value") - F.lag("value").over(_USER)).alias("back"), F.lead("value").over(_USER).alias("next"), F.first("value").over(_USER).alias("first"))))
+def _ranks():
+    return Window.partitionBy("c_nationkey").orderBy(F.desc("c_acctbal"), "c_custkey")
+
+simple("rank_candidates", "SELECT c_custkey, CAST(row_number() OVER w AS INTEGER) AS i, CAST(rank() OVER w AS INTEGER) AS r, CAST(dense_rank() OVER w AS INTEGER) AS d, round(percent_rank() OVER w, 6) AS p, CAST(ntile(4) OVER w AS INTEGER) AS t FROM customer WINDOW w AS (PARTITION BY c_nationkey ORDER BY c_acctbal DESC, c_custkey)", lambda t: rounded(t("customer").select("c_custkey", F.row_number().over(_ranks()).alias("i"), F.rank().over(_ranks()).alias("r"), F.dense_rank().over(_ranks()).alias("d"), F.percent_rank().over(_ranks()).alias("p"), F.ntile(4).over(_ranks()).alias("t"))))
+def _user():
+    return Window.partitionBy("user_id").orderBy("ts", "event_id")
+
+simple("centroid_moves", "SELECT event_id, round(value - lag(value) OVER w, 6) AS back, round(lead(value) OVER w, 6) AS next, round(first_value(value) OVER w, 6) AS first FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)", lambda t: rounded(t("events").select("event_id", (F.col("value") - F.lag("value").over(_user())).alias("back"), F.lead("value").over(_user()).alias("next"), F.first("value").over(_user()).alias("first"))))
 
 
 @query("hist_cumulative", "SELECT bin, sum(n) OVER (ORDER BY bin) AS upto FROM (SELECT CAST(floor(l_quantity) AS BIGINT) AS bin, count(*) AS n FROM lineitem GROUP BY 1) h")
@@ -141,7 +147,7 @@ def _(spark, sf):
     return h.select("bin", F.sum("n").over(Window.orderBy("bin").rowsBetween(Window.unboundedPreceding, 0)).alias("upto"))
 
 
-simple("window_rows_avg", "SELECT event_id, round(avg(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING), 6) AS v FROM events", lambda t: rounded(t("events").select("event_id", F.avg("value").over(_USER.rowsBetween(-2, 2)).alias("v"))))
+simple("window_rows_avg", "SELECT event_id, round(avg(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING), 6) AS v FROM events", lambda t: rounded(t("events").select("event_id", F.avg("value").over(_user().rowsBetween(-2, 2)).alias("v"))))
 simple("window_range_sum", "SELECT event_id, round(sum(value) OVER (PARTITION BY user_id ORDER BY d RANGE BETWEEN 3 PRECEDING AND CURRENT ROW), 6) AS v FROM (SELECT *, date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) AS d FROM events) e", lambda t: rounded(t("events").withColumn("d", F.datediff("ts", F.lit("2024-01-01").cast("date"))).select("event_id", F.sum("value").over(Window.partitionBy("user_id").orderBy("d").rangeBetween(-3, 0)).alias("v"))))
 
 # --- functions ---------------------------------------------------------------------------------------
