@@ -36,7 +36,7 @@ from pyspark.sql import functions as F
 
 from dpcluster.llm import scratch
 from dpcluster.llm.scratch import Scratch
-from dpcluster.llm.tokens import small_batches
+from dpcluster.llm.tokens import forget, small_batches
 
 FREQUENT = 8
 ROUNDS = 1
@@ -158,6 +158,7 @@ def maps_of(maps: list[bytes]) -> pa.Array:
 
 def _summary(plan: Plan):
     def run(batches):
+        forget()
         for batch in small_batches(batches):
             sizes, sigs, heads, maps = [], [], [], []
             for t in batch.column("text").cast(pa.binary()).to_pylist():
@@ -189,6 +190,7 @@ def prefix_keys(h: np.ndarray, common: np.ndarray, plan: Plan) -> tuple[np.ndarr
 def _keys(plan: Plan, common):
     def run(batches):
         table = common.value
+        forget()
         for batch in small_batches(batches):
             sizes, sigs, keys, singles = [], [], [], []
             for t in batch.column("text").cast(pa.binary()).to_pylist():
@@ -207,6 +209,7 @@ def _keys(plan: Plan, common):
 
 def _sets(plan: Plan):
     def run(batches):
+        forget()
         for batch in small_batches(batches):
             sets = [shingle_hashes(t, plan.n) for t in batch.column("text").cast(pa.binary()).to_pylist()]
             ends = np.cumsum([0, *map(len, sets)]).astype(np.int32)

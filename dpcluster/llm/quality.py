@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from dpcluster.llm import scratch
-from dpcluster.llm.tokens import small_batches
+from dpcluster.llm.tokens import forget, small_batches
 
 ACCEPT = 0.3
 MAX_LABELS = 20_000
@@ -94,6 +94,7 @@ def held_out(doc_id: Column, folds: int = FOLDS) -> Column:
 
 
 def _featured(batches):
+    forget()
     for batch in small_batches(batches):
         texts = batch.column("text").cast(pa.binary()).to_pylist()
         rows = [features(t or b"").tobytes() for t in texts]
@@ -115,6 +116,7 @@ def learn(docs: DataFrame, labels: DataFrame, max_labels: int = MAX_LABELS, acce
 
 def _scorer(model: Model, threshold: float):
     def run(batches):
+        forget()
         for batch in small_batches(batches):
             texts = batch.column("text").cast(pa.binary()).to_pylist()
             x = np.stack([features(t or b"") for t in texts]) if texts else np.zeros((0, N_FEATURES), np.float32)
@@ -136,6 +138,7 @@ def accepted(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     model = learn(docs, labels, **options)
 
     def run(batches):
+        forget()
         for batch in small_batches(batches):
             texts = batch.column("text").cast(pa.binary()).to_pylist()
             x = np.stack([features(t or b"") for t in texts]) if texts else np.zeros((0, N_FEATURES), np.float32)

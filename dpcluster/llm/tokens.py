@@ -105,6 +105,11 @@ def codec(path: str) -> Codec:
     return _CODECS[path]
 
 
+def forget() -> None:
+    """Frees the caches of this worker; stages that don't tokenize call it, as workers outlive stages."""
+    _CODECS.clear()
+
+
 def tokenizer_path(name: str) -> str:
     import public_tokenizers
 
