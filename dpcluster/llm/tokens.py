@@ -12,11 +12,16 @@ import re
 from array import array
 from collections.abc import Iterable
 
+import numpy as np
+
 #: Chunks in a generation of the cache; two of them take some 250 MB.
 CACHE_CHUNKS = 600_000
 
 #: Chunks for byte-level tokenizers: a word with the space before it, or a run of white space.
 _SPACED = re.compile(r" ?[^ \t\n\r]+|[ \t\n\r]+(?![^ \t\n\r])|[ \t\n\r]+")
+_WORD = re.compile(r" [^ \t\n\r]")
+#: So many words are encoded as one text.
+JOINED = 256
 _BETWEEN = re.compile(r"[^ \t\n\r]+")
 _CONTROL = re.compile(r"[\x1c-\x1f]")
 #: White space on which regular-expression libraries differ; such texts are encoded whole.
@@ -46,6 +51,12 @@ class Codec:
             self.lowers = {"type": "Lowercase"} in normal["normalizers"]
         elif normal is None and before.get("type") == "ByteLevel" and before.get("use_regex") and not before.get("add_prefix_space"):
             self.kind = "spaced"
+        #: bytes that each id stands for, where they can be told
+        self.widths = None
+        if self.kind == "spaced":
+            vocabulary = self.tokenizer.get_vocab(with_added_tokens=False)
+            self.widths = np.zeros(max(vocabulary.values()) + 1, np.int64)
+            self.widths[list(vocabulary.values())] = list(map(len, vocabulary))  # one character of an entry is one byte
         self.known: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
         self.limit = cache_chunks
@@ -53,6 +64,22 @@ class Codec:
     def _plain(self, texts: list[str]) -> list[bytes]:
         return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
+    def _joined(self, words: list[str]) -> list[bytes]:
+        """As _plain, for words with the space before them: many in one text, whose ids are parted by the bytes they stand for."""
+        groups = [words[i : i + JOINED] for i in range(0, len(words), JOINED)]
+        out: list[bytes] = []
+        for group, e in zip(groups, self.tokenizer.encode_batch_fast(["".join(g) for g in groups], add_special_tokens=False)):
+            ids = np.array(e.ids, np.uint32)
+            ends = np.cumsum([len(w) if w.isascii() else len(w.encode()) for w in group])
+            bounds = np.cumsum(self.widths[np.minimum(ids, len(self.widths) - 1)])
+            at = np.minimum(np.searchsorted(bounds, ends), len(bounds) - 1)
+            if len(ids) and int(ids.max()) < len(self.widths) and (bounds[at] == ends).all() and at[-1] == len(ids) - 1:
+                data, stops = ids.tobytes(), (4 * (at + 1)).tolist()
+                out += [data[a:b] for a, b in zip([0, *stops], stops)]
+            else:  # an entry that is no plain run of bytes
+                out += self._plain(group)
+        return out
+
     def chunks(self, text: str) -> list[str]:
         """Pieces of a text whose ids, joined, are the ids of the text."""
         if not text:
@@ -78,6 +105,10 @@ class Codec:
             new = [c for c in new if c not in known]
         for at in range(0, len(new), 20_000):
             part = new[at : at + 20_000]
+            if self.widths is not None:
+                words = [c for c in part if _WORD.match(c) and len(c) < 200]
+                known.update(zip(words, self._joined(words)))
+                part = [c for c in part if c not in known]
             known.update(zip(part, self._plain(part)))
         return known
 
