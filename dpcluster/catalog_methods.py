@@ -81,7 +81,7 @@ def _(spark, sf):
 
 
 def _range(df, clip):
-    return private_range(df, ["x0", "x1"], -1.0, 1.0, 0.2, 15000, SRC, bins=256, clip=clip)
+    return private_range(df, ["x0", "x1"], -1.0, 1.0, 0.2, df.count(), SRC, bins=256, clip=clip)
 
 
 def _range_sql(clip: bool) -> str:
@@ -261,7 +261,7 @@ def _(spark, sf):
 
 def _blocks(spark, sf, **options):
     df = D["D3"].points(spark, sf)
-    return table_of(spark, blocks.block_average(df, names(2), 2, 1.0, 15000, source=SRC, **options).centroids)
+    return table_of(spark, blocks.block_average(df, names(2), 2, 1.0, df.count(), source=SRC, **options).centroids)
 
 
 query("block_average")(lambda spark, sf: _blocks(spark, sf))
@@ -299,8 +299,13 @@ def _(spark, sf):
     return spark.range(1).select(F.posexplode(ev.mutate(F.array_repeat(F.lit(0.75), 4), F.lit(2), F.lit(0.5))).alias("i", "v"))
 
 
-query("evolve")(lambda spark, sf: table_of(spark, ev.evolve(D["D3"].points(spark, sf), names(2), 2, 1.0, 15000, pool=60, source=SRC).centroids))
-query("evolve_nonprivate")(lambda spark, sf: table_of(spark, ev.evolve(D["D3"].points(spark, sf), names(2), 2, 1.0, 15000, pool=60, private=False, source=SRC).centroids))
+def _evolved(spark, sf, **options):
+    df = D["D3"].points(spark, sf)
+    return table_of(spark, ev.evolve(df, names(2), 2, 1.0, df.count(), pool=60, source=SRC, **options).centroids)
+
+
+query("evolve")(lambda spark, sf: _evolved(spark, sf))
+query("evolve_nonprivate")(lambda spark, sf: _evolved(spark, sf, private=False))
 query("evolve_round_sweep")(lambda spark, sf: spark.createDataFrame([(r, float(ev.evolve(D["D3"].points(spark, sf), names(2), 2, 1.0, 15000, pool=40, rounds=r, source=SRC).trace[-1])) for r in (2, 8)], "rounds int, cost double"))
 
 # --- synopses ----------------------------------------------------------------------------------------
@@ -352,8 +357,15 @@ for _n, _sqln in (("raw", "n"), ("round_nonneg", "greatest(0.0, floor(n + 0.5))"
     query(_nm, _q)(lambda spark, sf, how=_n: table_of(spark, lloyd(_release(spark, sf).weighted(how), names(2), C3, 1, weight="n", r=1.0).centroids))
 query("grid_round_replicate", f"SELECT cell, CAST(greatest(0, floor(n + 0.5)) AS BIGINT) AS copies FROM ({release_sql('D3', S2, 1.0)}) r WHERE greatest(0, floor(n + 0.5)) > 0")(lambda spark, sf: _release(spark, sf).replicated().groupBy("cell").agg(F.count("*").alias("copies")))
 query("synopsis_nicv", f"SELECT round(sum(n * dist2) / sum(n), 6) AS nicv FROM (SELECT n, {nearest_sql(names(2), C3)} FROM ({release_sql('D3', S2, 1.0)}) r) q")(lambda spark, sf: rounded(spark.createDataFrame([(synopsis_nicv(_release(spark, sf).cells, names(2), C3),)], "nicv double")))
-query("grid_kmeans_1init")(lambda spark, sf: table_of(spark, grid_kmeans(D["D3"].points(spark, sf), names(2), 2, 1.0, 15000, [C3], source=SRC).centroids))
-query("grid_select_init")(lambda spark, sf: table_of(spark, grid_kmeans(D["D3"].points(spark, sf), names(2), 2, 1.0, 15000, 30, source=SRC).centroids))
+
+
+def _grid(spark, sf, inits):
+    df = D["D3"].points(spark, sf)
+    return table_of(spark, grid_kmeans(df, names(2), 2, 1.0, df.count(), inits, source=SRC).centroids)
+
+
+query("grid_kmeans_1init")(lambda spark, sf: _grid(spark, sf, [C3]))
+query("grid_select_init")(lambda spark, sf: _grid(spark, sf, 30))
 query("grid_theta_sweep")(lambda spark, sf: ex.theta_sweep(spark, ex.stand_ins(spark, sf, ["D3"]), 1.0, QUICK))
 query("grid_degenerate", "SELECT CAST(1 AS BIGINT) AS cells, CAST(true AS BOOLEAN) AS alike")(
     lambda spark, sf: (lambda s: spark.createDataFrame([(s.cells, s.m == (1,) * 64)], "cells long, alike boolean"))(g.grid_spec(g.cells_general(500, 0.1, 64), 64))

@@ -342,3 +342,25 @@ def test_stream_join(spark, small):
     events = sw.points(spark.read.parquet(f"{small}/events.parquet"))
     got = sw.join_streams(events, events, within="1 day")
     assert got.where("ua <> ub or tb < ta").count() == 0
+
+
+# --- registered queries ------------------------------------------------------------------------------
+
+
+@pytest.mark.parametrize("name, at", [("private_range", 5), ("range_clip", 5), ("block_average", 4), ("block_average_3k", 4), ("block_average_unclipped", 4), ("block_average_no_noise", 4), ("block_align_anchor", 4), ("evolve", 4), ("evolve_nonprivate", 4), ("grid_kmeans_1init", 4), ("grid_select_init", 4)])
+def test_queries_count_the_rows_of_their_table(spark, small, monkeypatch, name, at):
+    from dpcluster import catalog, catalog_methods as m
+
+    class Seen(Exception):
+        pass
+
+    def see(*args, **_):
+        raise Seen(args[at])
+
+    monkeypatch.setattr(m, "private_range", see)
+    monkeypatch.setattr(m, "grid_kmeans", see)
+    monkeypatch.setattr(m.blocks, "block_average", see)
+    monkeypatch.setattr(m.ev, "evolve", see)
+    with pytest.raises(Seen) as seen:
+        catalog.queries()[name](spark, small)
+    assert seen.value.args == (1500,)
