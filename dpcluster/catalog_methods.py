@@ -418,7 +418,7 @@ query("two_stage_conditions", f"SELECT name, e AS eps, e >= {em.epsilon_threshol
 def _two(spark, sf, key="D3", **options):
     w = D[key]
     df = w.points(spark, sf)
-    return two_stage(df, w.cols, w.k, options.pop("eps", 1.0), df.count(), source=SRC, **{"inits": 5, "max_cells": 100_000, **options})
+    return two_stage(df, w.cols, w.k, options.pop("eps", 1.0), df.count(), source=SRC, **options)
 
 
 query("two_stage_entry")(lambda spark, sf: table_of(spark, _two(spark, sf).centroids))

@@ -364,3 +364,25 @@ def test_queries_count_the_rows_of_their_table(spark, small, monkeypatch, name,
     with pytest.raises(Seen) as seen:
         catalog.queries()[name](spark, small)
     assert seen.value.args == (1500,)
+
+
+@pytest.mark.parametrize("name", ["two_stage_entry", "two_stage_refine", "two_stage_fallback", "two_stage_forced", "two_stage_rounds", "two_stage_split_sweep", "run_stats"])
+def test_two_stage_queries_have_the_planner_s_own_grid_and_starts(spark, small, monkeypatch, name):
+    import inspect
+
+    from dpcluster import catalog, catalog_methods as m
+    from dpcluster.operators.grid import MAX_CELLS
+
+    class Seen(Exception):
+        pass
+
+    def see(*args, **options):
+        used = inspect.signature(two_stage).bind(*args, **options)
+        used.apply_defaults()
+        choice = decide(1_500_000, 2, 2, 1.0, max_cells=used.arguments["max_cells"])
+        raise Seen(used.arguments["inits"], used.arguments["max_cells"], choice == decide(1_500_000, 2, 2, 1.0))
+
+    monkeypatch.setattr(m, "two_stage", see)
+    with pytest.raises(Seen) as seen:
+        catalog.queries()[name](spark, small)
+    assert seen.value.args == (30, MAX_CELLS, True)
