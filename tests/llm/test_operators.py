@@ -215,6 +215,15 @@ def test_word_probabilities_add_up():
     assert first.sum() == pytest.approx(1, abs=1e-6)
 
 
+def test_scores_depend_on_the_order_of_words(spark):
+    line = "the quick brown fox jumps over a lazy dog while nine old men sing"
+    held = [d for d in range(200) if zlib.crc32(str(d).encode()) % 5 == 1][:2]
+    data = [(d, line) for d in range(200) if zlib.crc32(str(d).encode()) % 5 != 1] + [(held[0], line), (held[1], " ".join(reversed(line.split())))]
+    got = {r["doc_id"]: r for r in bit_mixing.score(spark.createDataFrame(data, "doc_id long, text string")).where("held_out").collect()}
+    assert got[held[0]]["n_known"] == got[held[1]]["n_known"] == 15
+    assert got[held[0]]["score"] > got[held[1]]["score"] + 5
+
+
 # --- 6: quality --------------------------------------------------------------------------------------
 
 
