@@ -224,6 +224,34 @@ def test_scores_depend_on_the_order_of_words(spark):
     assert got[held[0]]["score"] > got[held[1]]["score"] + 5
 
 
+def test_contexts_cross_words_and_share_no_counts():
+    rng = np.random.default_rng(3)
+    items = [bytes(rng.integers(97, 123, rng.integers(3, 12)).astype(np.uint8)) for _ in range(30_000)]
+    left = bit_mixing.lefts([*items[1:], b""])
+    assert bit_mixing.lefts([b"i", b"a", b"of", b"the", b""]) == [b"", b"i", b"i a", b" of", b"the"]
+    word, _, _, slots = bit_mixing.bit_rows(items, left)
+    text = lambda i, j: left[i] + b" " * bool(left[i]) + (items[i] + b" ")[:j]
+    sees = {99: lambda i, j: items[i][:j], 100: lambda i, j: (left[i], items[i][:j]), **{n: lambda i, j, n=n: text(i, j)[-n:] for n in (1, 2, 3, 4)}}
+    assert {x if isinstance(x, int) else x[0] for x in bit_mixing.CONTEXTS} == set(sees)
+    for context, got in zip(bit_mixing.CONTEXTS, slots):
+        nodes = set()
+        for i, x in enumerate(items):
+            for j, b in enumerate(x + b" "):
+                seen = sees[context](i, j)
+                nodes.update((seen, (b | 256) >> s) for s in range(1, 9))
+        assert len(np.unique(got)) == len(nodes)
+
+
+def test_sums_of_keys_over_chunks(spark):
+    """Counts of a context's next bits, gathered in slices, are those of one dictionary."""
+    key = np.sort(np.random.default_rng(1).integers(0, 40, 60).astype(np.uint64))
+    key = np.unique(key << np.uint64(8) | np.random.default_rng(2).integers(0, 256, 60).astype(np.uint64))
+    count = np.arange(1, len(key) + 1).astype(np.uint64)
+    got = bit_mixing.levels(key, count)
+    for b in range(9):
+        assert got[b].tolist() == [sum(int(c) for k, c in zip(key, count) if k >> np.uint64(8 - b) == x >> np.uint64(8 - b)) for x in key]
+
+
 # --- 6: quality --------------------------------------------------------------------------------------
 
 
