@@ -2,7 +2,8 @@
 
 Three base patterns give spans: assignments to names such as ``password``, access keys, and long
 runs of hex digits.  The method adds candidate strings (runs of key characters) in which some
-window has a Shannon entropy above the threshold of the string's character class.  The entropy
+window has a Shannon entropy above the threshold of the string's character class; every candidate but
+one of digits and signs alone has a class.  The entropy
 slides: only the counts of the character that enters and the one that leaves change.  Strings on
 the allow-list, and those that touch a base span, are not added.
 
@@ -26,9 +27,15 @@ CANDIDATE = r"[A-Za-z0-9+/_=-]{20,}"
 CLASSES = (
     ("hex", r"^[0-9a-fA-F]+$", 24, 2.9),
     ("mixed", r"^(?=.*[a-z])(?=.*[A-Z])(?=.*[0-9]).*$", 20, 3.65),
+    ("lower and digits", r"^(?![0-9a-f]+$)(?=.*[a-z])(?=.*[0-9])[^A-Z]+$", 20, 3.7),
+    ("upper and digits", r"^(?![0-9A-F]+$)(?=.*[A-Z])(?=.*[0-9])[^a-z]+$", 20, 3.7),
+    ("letters of one case", r"^([^A-Z0-9]+|[^a-z0-9]+)$", 20, 3.75),
+    ("letters of both", r"^(?=.*[a-z])(?=.*[A-Z])[^0-9]+$", 20, 3.9),
 )
+#: Slugs, paths and constants of one case, and identifiers in humps: words with a few digits behind, or digits between separators.
+SLUGS = r"(?-i:" + "|".join(rf"^/?[{x}]{{1,15}}[0-9]{{0,4}}([/_=+-]+([{x}]{{1,15}}[0-9]{{0,4}}|[0-9]{{1,8}}))+/?$" for x in ("a-z", "A-Z")) + r"|^[a-z]{0,15}([A-Z][a-z]{2,14})+$)"
 #: Known harmless strings: digits alone, identifiers in groups, digests of files, dummy values, paths of words.
-ALLOW = r"(?i)^[0-9_=+/-]+$|^[0-9a-f]{8}(-[0-9a-f]{4}){3}-[0-9a-f]{12}$|^sha(1|256|384|512)-|example|dummy|placeholder|xxxx|abcdefgh|01234567|^(/?[a-z]{1,15}[/_-])+[a-z0-9]{0,15}$"
+ALLOW = r"(?i)^[0-9_=+/-]+$|^[0-9a-f]{8}(-[0-9a-f]{4}){3}-[0-9a-f]{12}$|^sha(1|256|384|512)-|example|dummy|placeholder|xxxx|abcdefgh|01234567|^(/?[a-z]{1,15}[/_-])+[a-z0-9]{0,15}$|" + SLUGS
 
 
 def _located(text: Column, found: Column, keep=None) -> Column:
@@ -77,8 +84,10 @@ def window_entropy(text: Column, width: int) -> Column:
 
 def suspicious(text: Column, allow: str = ALLOW, classes=CLASSES) -> Column:
     high = F.lit(False)
-    for _, pattern, width, least in classes:
-        high = high | (text.rlike(pattern) & (window_entropy(text, width) >= least))
+    for width in sorted({c[2] for c in classes}):
+        own = [F.when(text.rlike(pattern), F.lit(least)) for _, pattern, w, least in classes if w == width]
+        least = F.least(*own) if len(own) > 1 else own[0]
+        high = high | F.when(least.isNotNull(), window_entropy(text, width) >= least).otherwise(False)
     return ~text.rlike(allow) & high
 
 

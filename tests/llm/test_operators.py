@@ -468,6 +468,15 @@ def test_secrets(spark, docs, messy, empty):
     assert masked[1] == "a b c" and masked[2] is None and "hunter" not in masked[100] and "AKIA" not in masked[100]
 
 
+def test_every_class_of_characters_has_a_threshold(spark):
+    keys = ["k3j9x0qv7z1m5w8tb2r6yd4hc1g0fnpu5sela3i7", "JBSWY3DPEHPK3PXPQ7ZL2VKMTF6RXNUC", "qzjxvkwpmhgyfbducltnsraoei", "QzJxVkWpMhGyFbDuCltNsRaOeI", "QZJXVKWPMHGYFBDUCLTNSRAOEI"]
+    harmless = ["my-blog-post-title-2024-part-3-of-5", "MAX_RETRY_COUNT_FOR_HTTP2_CLIENTS", "getElementsByClassNameAndTag", "src/main/java/module2/widget/panel", "internationalisation", "--------------------====", "aaaaaaaaaaaaaaaaaaaaaaaa1"]
+    df = spark.createDataFrame(list(enumerate(keys + harmless)), "doc_id long, text string")
+    assert [n for _, n in sorted(rows(secrets.scan(df), "doc_id", "n_entropy"))] == [1] * len(keys) + [0] * len(harmless)
+    masked = dict(rows(secrets.redact(df), "doc_id", "text"))
+    assert [masked[i] for i in range(len(keys))] == ["[SECRET]"] * len(keys) and masked[len(keys)] == harmless[0]
+
+
 def test_entropy_slides(spark):
     data = ["abc", "a" * 30, "abcdefghijklmnopqrstuvwxyz0123456789" * 2, "aZ9" * 20]
     got = rows(spark.createDataFrame([(x,) for x in data], "t string").select("t", secrets.window_entropy(F.col("t"), 20).alias("h")), "t", "h")
