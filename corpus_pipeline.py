@@ -34,8 +34,8 @@ def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Sequences whose lengths are powers of two."""
-    return packing.pack(docs, tokenizer_path("word_bpe_49k.json"))
+    """Sequences whose lengths are powers of two, with their token ids."""
+    return packing.pack(docs, tokenizer_path("word_bpe_49k.json"), with_ids=True)
 
 
 STAGES = [("quality classifier", quality_classifier), ("n-gram Jaccard join", near_duplicates), ("secret scans", secret_scan), ("mixing sources", source_mix), ("packing", packed)]

@@ -483,6 +483,20 @@ def test_entropy_slides(spark):
     assert all(h == pytest.approx(entropy(t, 20), abs=1e-9) for t, h in got)
 
 
+# --- pipeline ----------------------------------------------------------------------------------------
+
+
+def test_pipeline_ends_with_the_sequences(spark, messy):
+    import corpus_pipeline
+
+    got = corpus_pipeline.STAGES[-1][1](spark, messy.where("doc_id in (1, 9, 11)"), "").collect()
+    assert got and all(len(r["ids"]) == 4 * r["length"] and zlib.crc32(r["ids"]) == r["ids_crc32"] for r in got)
+    codec = tokens.Codec(tokens.tokenizer_path("word_bpe_49k.json"))
+    text = next(t for d, t in texts(messy) if d == 11)
+    ids = np.concatenate([np.frombuffer(r["ids"], "<u4") for r in sorted(got, key=lambda r: r["start"]) if r["doc_id"] == 11])
+    assert ids[:-1].tolist() == np.frombuffer(next(iter(codec.encode([text]))), "<u4").tolist()
+
+
 # --- queries -----------------------------------------------------------------------------------------
 
 
