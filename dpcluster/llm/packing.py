@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import zlib
 
+import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
@@ -37,23 +38,24 @@ def piece_lengths(n: int, max_length: int = MAX_LENGTH) -> list[int]:
 
 
 def _packer(path: str, end_id: int, max_length: int, with_ids: bool):
-    end = end_id.to_bytes(4, "little")
+    end = np.array([end_id], np.uint32)
 
     def run(batches):
-        encode, number = tokens.codec(path).encode, TaskContext.get().partitionId() << 33
+        number = TaskContext.get().partitionId() << 33
         schema = _ARROW.append(pa.field("ids", pa.binary())) if with_ids else _ARROW
-        for batch in batches:
-            for doc_ids, texts in tokens.slices((batch.column("doc_id").to_pylist(), batch.column("text").to_pylist())):
-                rows: list[tuple] = []
-                for doc_id, ids in zip(doc_ids, encode(texts)):
-                    view = memoryview(ids + end)
-                    n, start = len(view) // 4, 0
-                    for length in piece_lengths(n, max_length):
-                        piece = view[4 * start : 4 * (start + length)]
-                        rows.append((doc_id, start, length, zlib.crc32(piece), n, number, 0, length.bit_length() - 1, *((bytes(piece),) if with_ids else ())))
-                        start += length
-                        number += 1
-                yield pa.RecordBatch.from_arrays([pa.array(x, f.type) for x, f in zip(zip(*rows), schema)], schema=schema) if rows else pa.RecordBatch.from_pylist([], schema=schema)
+        for batch, texts in tokens.text_rows(batches):
+            got = tokens.codec(path).encode_flat(*tokens.flat(texts))
+            bounds, rows = got.ids_before, []
+            data = memoryview(np.insert(got.ids, bounds[1:], end).tobytes())
+            places = (bounds + np.arange(len(bounds))).tolist()
+            for doc_id, a, b in zip(batch.column("doc_id").to_pylist(), places, places[1:]):
+                start = 0
+                for length in piece_lengths(b - a, max_length):
+                    piece = data[4 * (a + start) : 4 * (a + start + length)]
+                    rows.append((doc_id, start, length, zlib.crc32(piece), b - a, number, 0, length.bit_length() - 1, *((bytes(piece),) if with_ids else ())))
+                    start += length
+                    number += 1
+            yield pa.RecordBatch.from_arrays([pa.array(x, f.type) for x, f in zip(zip(*rows), schema)], schema=schema)
 
     return run
 

@@ -6,11 +6,18 @@ blocks, compressed on their own where that is smaller, beside a directory of ran
 token, the number of occurrences of an id, or its k-th place are found without decoding the rest.
 
 Layout (little-endian): magic, version, numbers of tokens, documents and planes, bytes in a block;
-document ids (64-bit) and lengths (32-bit), deflated; zeros of each plane; for each plane the ranks
-before its blocks, the ends of its blocks, a flag for deflated ones; then all blocks.
+document ids (64-bit, and how many of the first have none) and lengths (32-bit), deflated; zeros of
+each plane; for each plane the ranks before its blocks, the ends of its blocks, a flag for deflated
+ones; then all blocks.  Each shard is the only row of a Parquet file, which Spark can write to and read
+from any store.
+
+Texts are encoded once, before they are ordered, so that what is sorted are ids of 16 bits where the
+vocabulary allows that.  Ranges are cut by document id and then by a checksum of the ids, so rows that
+share an id, or have none, are dealt to several tasks.
 
 Defined results: null or empty text is the end id alone; documents without an id come first; rows
-with one id follow each other; an empty table gives no rows; extra columns are ignored.
+with one id follow each other in the order of their ids' checksums and ids; an empty table gives no
+rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -25,17 +32,17 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from dpcluster.llm import scratch, tokens
+from dpcluster.llm.scratch import Scratch
 
 MAGIC = b"WVMX"
 BLOCK = 8192
 SHARD_TOKENS = 1 << 20
 END_ID = 2
-NO_ID = -(1 << 63)
-_HEAD = "<4sHQQII"
+_HEAD = "<4sHQQIIQ"
 
 
-def encode(ids: np.ndarray, doc_ids, lengths, block: int = BLOCK) -> bytes:
-    """The file of one shard."""
+def encode(ids: np.ndarray, doc_ids, lengths, block: int = BLOCK, without_id: int = 0) -> bytes:
+    """The file of one shard; so many of its first documents have no id."""
     n, planes = len(ids), max(1, int(ids.max(initial=0)).bit_length())
     docs = zlib.compress(np.asarray(doc_ids, "<i8").tobytes() + np.asarray(lengths, "<u4").tobytes(), 1)
     zeros, meta, body, end = [], [], [], 0
@@ -58,7 +65,7 @@ def encode(ids: np.ndarray, doc_ids, lengths, block: int = BLOCK) -> bytes:
         keep = ~bit
         zeros.append(int(keep.sum()))
         at = np.concatenate([at[keep], at[bit]])
-    head = struct.pack(_HEAD, MAGIC, 1, n, len(doc_ids), planes, block) + struct.pack("<I", len(docs)) + docs + np.asarray(zeros, "<u8").tobytes()
+    head = struct.pack(_HEAD, MAGIC, 2, n, len(doc_ids), planes, block, without_id) + struct.pack("<I", len(docs)) + docs + np.asarray(zeros, "<u8").tobytes()
     return head + b"".join(x.tobytes() for m in meta for x in m) + b"".join(body)
 
 
@@ -66,8 +73,8 @@ class Shard:
     """Reads one file."""
 
     def __init__(self, data: bytes):
-        magic, version, self.n, n_docs, self.planes, self.block = struct.unpack_from(_HEAD, data)
-        if magic != MAGIC or version != 1:
+        magic, version, self.n, n_docs, self.planes, self.block, self.without_id = struct.unpack_from(_HEAD, data)
+        if magic != MAGIC or version != 2:
             raise ValueError("not a shard of token ids")
         at = struct.calcsize(_HEAD)
         (size,) = struct.unpack_from("<I", data, at)
@@ -162,28 +169,48 @@ class Shard:
 _SHARDS = pa.schema([("part", pa.int32()), ("shard", pa.int32()), ("n_docs", pa.int64()), ("n_tokens", pa.int64()), ("payload", pa.binary())])
 
 
-def _writer(path: str, end_id: int, shard_tokens: int):
-    end = end_id.to_bytes(4, "little")
+_ENCODED = pa.schema([("doc_id", pa.int64()), ("width", pa.int32()), ("crc", pa.int64()), ("ids", pa.binary())])
+
+
+def _encoder(path: str, end_id: int):
+    """Ids of each text and the end id, in as few bytes as the vocabulary allows."""
+
+    def run(batches):
+        for batch, texts in tokens.text_rows(batches):
+            codec = tokens.codec(path)
+            kind = np.dtype("<u2" if max(codec.tokenizer.get_vocab_size(), end_id + 1) <= 1 << 16 else "<u4")
+            got = codec.encode_flat(*tokens.flat(texts))
+            bounds = got.ids_before
+            data = memoryview(np.insert(got.ids.astype(kind), bounds[1:], end_id).tobytes())
+            ends = (kind.itemsize * (bounds + np.arange(len(bounds)))).tolist()
+            ids = [data[a:b] for a, b in zip(ends, ends[1:])]
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([kind.itemsize] * len(ids), pa.int32()), pa.array(map(zlib.crc32, ids), pa.int64()), pa.array(ids, pa.binary())], schema=_ENCODED)
+
+    return run
+
 
+def _writer(shard_tokens: int):
     def run(batches):
+        tokens.forget()
         part, number, held, doc_ids, size = TaskContext.get().partitionId(), 0, [], [], 0
 
         def close():
             nonlocal number, held, doc_ids, size
-            lengths = [len(x) // 4 for x in held]
-            file = encode(np.frombuffer(b"".join(held), "<u4"), doc_ids, lengths)
-            row = pa.RecordBatch.from_arrays([pa.array([x], f.type) for x, f in zip((part, number, len(held), sum(lengths), file), _SHARDS)], schema=_SHARDS)
+            without = doc_ids.count(None)  # they come first
+            file = encode(np.concatenate(held), [0] * without + doc_ids[without:], [len(x) for x in held], without_id=without)
+            row = pa.RecordBatch.from_arrays([pa.array([x], f.type) for x, f in zip((part, number, len(held), size, file), _SHARDS)], schema=_SHARDS)
             number, held, doc_ids, size = number + 1, [], [], 0
             return row
 
         for batch in batches:
-            for ids, texts in tokens.slices((batch.column("doc_id").to_pylist(), batch.column("text").to_pylist())):
-                for doc_id, x in zip(ids, tokens.codec(path).encode(texts)):
-                    if held and size + len(x) // 4 + 1 > shard_tokens:
-                        yield close()
-                    held.append(x + end)
-                    doc_ids.append(NO_ID if doc_id is None else doc_id)
-                    size += len(x) // 4 + 1
+            for doc_id, width, ids in zip(batch.column("doc_id").to_pylist(), batch.column("width").to_pylist(), batch.column("ids")):
+                x = np.frombuffer(ids.as_buffer(), f"<u{width}")
+                if held and size + len(x) > shard_tokens:
+                    yield close()
+                held.append(x)
+                doc_ids.append(doc_id)
+                size += len(x)
+            held = [x.copy() for x in held]  # else what is left of a batch holds all of it
         if held:
             yield close()
 
@@ -191,14 +218,19 @@ def _writer(path: str, end_id: int, shard_tokens: int):
 
 
 def write(docs: DataFrame, path: str, tokenizer_file: str, end_id: int = END_ID, shard_tokens: int = SHARD_TOKENS) -> None:
-    """Writes shards in ascending order of doc_id: a table of files with the place of each."""
+    """Writes shards in ascending order of doc_id, each a file of its own beside its place."""
     scratch.share_code(docs.sparkSession)
+    tables = Scratch(docs.sparkSession, "wavelet-ids")
     source = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["text"])
-    ordered = source.repartitionByRange("doc_id").sortWithinPartitions("doc_id")
-    ordered.mapInArrow(_writer(tokenizer_file, end_id, shard_tokens), "part int, shard int, n_docs long, n_tokens long, payload binary").write.option("compression", "none").parquet(path)
+    encoded = tables.write(source.mapInArrow(_encoder(tokenizer_file, end_id), "doc_id long, width int, crc long, ids binary"), "ids")
+    ordered = encoded.repartitionByRange(F.asc_nulls_first("doc_id"), "crc").sortWithinPartitions(F.asc_nulls_first("doc_id"), "crc", "ids")
+    shards = ordered.mapInArrow(_writer(shard_tokens), "part int, shard int, n_docs long, n_tokens long, payload binary")
+    shards.write.option("compression", "none").option("maxRecordsPerFile", 1).parquet(path)
+    tables.drop()
 
 
 def _reader(batches):
+    tokens.forget()
     out = pa.schema([("part", pa.int32()), ("shard", pa.int32()), ("place", pa.int64()), ("doc_id", pa.int64()), ("within", pa.int64()), ("n_tokens", pa.int64()), ("ids_crc32", pa.int64())])
     for batch in batches:
         for i in range(batch.num_rows):
@@ -206,7 +238,7 @@ def _reader(batches):
             ids, ends = memoryview(shard.decode().tobytes()), np.cumsum(shard.lengths.astype(np.int64))
             starts, n = ends - shard.lengths, len(ends)
             sums = [zlib.crc32(ids[4 * a : 4 * b]) for a, b in zip(starts.tolist(), ends.tolist())]
-            doc_ids = pa.array(shard.doc_ids, pa.int64(), mask=shard.doc_ids == NO_ID)
+            doc_ids = pa.array(shard.doc_ids, pa.int64(), mask=np.arange(n) < shard.without_id)
             same = [pa.array(np.full(n, batch.column(c)[i].as_py()), t) for c, t in (("part", pa.int32()), ("shard", pa.int32()))]
             yield pa.RecordBatch.from_arrays([*same, pa.array(np.arange(n)), doc_ids, pa.array(starts), pa.array(shard.lengths.astype(np.int64)), pa.array(sums, pa.int64())], schema=out)
 

@@ -53,6 +53,9 @@ def texts(df):
 def test_cached_ids_are_those_of_whole_texts(docs, messy, path):
     codec = tokens.Codec(path, cache_chunks=1000)
     all_texts = [t for _, t in texts(docs) + texts(messy)]
+    rng = np.random.default_rng(8)
+    letters = [*"abAB  \n\n\t1!é'ßΣ東", "\u00a0", "\u2003", "\u3000", "\x0b", "\x1c", "<|endoftext|>", "word, other", "it's "]
+    all_texts += ["".join(rng.choice(letters, int(rng.integers(0, 40)))) for _ in range(400)] + ["\u00a0".join(["x y"] * 99) + " " * 50, "a b " * 600_000, "q" * 3000]
     want = [codec.tokenizer.encode(t, add_special_tokens=False).ids for t in all_texts]
     assert [np.frombuffer(x, "<u4").tolist() for x in codec.encode(all_texts)] == want
 
@@ -287,9 +290,35 @@ def test_counts_follow_edits(docs, messy, empty):
     assert edit_counts.count_with_edits(empty, BYTE).count() == 0
 
 
+def test_trees_are_kept_and_edited(spark, docs, messy, empty):
+    codec = tokens.Codec(BYTE)
+    count = lambda t: len(codec.tokenizer.encode(t, add_special_tokens=False).ids)
+    for df in (docs, messy):
+        told = texts(df)
+        todo = [(d, s, e, x) for d, t in dict(told).items() if d is None or d % 3 for s, e, x in edit_counts.standard_edits(t)] + [(-5, 0, 1, "not there")]
+        edits = spark.createDataFrame(todo, "doc_id long, start int, end int, text string")
+        trees = edit_counts.build(df, BYTE)
+        assert Counter(rows(trees, "doc_id", "n_tokens")) == Counter((d, count(t)) for d, t in told)
+        by, want = {}, Counter()
+        for d, *e in todo:
+            by.setdefault(d, []).append(e)
+        for d, t in told:
+            for s, e, x in reversed(by.get(d, [])):
+                t = t[:s] + x + t[e:]
+            want[d, t, count(t)] += 1
+        got = edit_counts.apply_edits(trees, edits, BYTE).collect()
+        if df is docs:
+            assert Counter((r["doc_id"], r["text"], r["n_tokens"]) for r in got) == want
+        assert all(sum(r["tokens"]) == r["n_tokens"] and sum(r["chars"]) == len(r["text"]) for r in got)
+        assert all(r["n_encoded"] == 0 for r in got if r["doc_id"] not in by)
+        pieces = lambda r: [r["text"][sum(r["chars"][:i]) : sum(r["chars"][: i + 1])] for i in range(len(r["chars"]))]
+        assert all([count(x) for x in pieces(r)] == r["tokens"] for r in got if len(r["text"]) < 500)
+    assert edit_counts.apply_edits(edit_counts.build(empty, BYTE), edits, BYTE).count() == 0
+
+
 def test_random_edits():
     codec, rng = tokens.Codec(BYTE), np.random.default_rng(4)
-    letters = list("ab  \n\n1!é'")
+    letters = [*"ab  \n\n1!é'", "\u00a0", "\u2003", "\x0b", "<|", "a b c d e"]
     for _ in range(150):
         text = "".join(rng.choice(letters, int(rng.integers(0, 60))))
         tree = edit_counts.CountTree(codec, text)
@@ -298,6 +327,7 @@ def test_random_edits():
             e = min(len(text), s + int(rng.integers(0, 8)))
             new = "".join(rng.choice(letters, int(rng.integers(0, 6))))
             tree.edit(s, e, new)
+            tree.settle()
             text = text[:s] + new + text[e:]
             assert (tree.tokens, tree.length) == (len(codec.tokenizer.encode(text, add_special_tokens=False).ids), len(text))
 
