@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -15,8 +16,8 @@ from dpcluster.operators import grid as g
 from dpcluster.operators.centroids import as_table, init_sets, packed_init, uniform_init
 from dpcluster.operators.grid_kmeans import cluster_synopsis, grid_kmeans, synopsis_nicv, tune_on_synopsis
 from dpcluster.operators.lloyd import assign, best_of, family_sums, lloyd, lloyd_many, nicv_many, partial_sums
-from dpcluster.operators.noisy_lloyd import noisy_lloyd, noisy_lloyd_many, noisy_sums, with_empty
-from dpcluster.operators.two_stage import decide, two_stage
+from dpcluster.operators.noisy_lloyd import noise_step, noisy_lloyd, noisy_lloyd_many, noisy_sums, with_empty
+from dpcluster.operators.two_stage import decide, two_stage, two_stage_many
 from dpcluster.plans import error_model as em
 from dpcluster.plans import experiments as ex
 from dpcluster.plans import metrics
@@ -84,20 +85,25 @@ def _range(df, clip):
     return private_range(df, ["x0", "x1"], -1.0, 1.0, 0.2, df.count(), SRC, bins=256, clip=clip)
 
 
-def _range_sql(clip: bool) -> str:
+def _range_cte(clip: bool, eps: float) -> str:
+    """r (dim, l, h): the private range of points p; range_final bounds it."""
     low, width = (-1.0, 2 / 256) if clip else (-3.0, 6 / 256)
-    q = lambda name, share: f"SELECT dim, arg_max(bin, noisy) AS bin FROM (SELECT dim, bin, -abs(rank - {share * 15000!r}) * {0.2 / 4 / 2!r} + {SRC.gumbel_sql('range-' + name, 'dim', 'bin')} AS noisy FROM ranks) t GROUP BY dim"
-    lo, hi = "least(l, h)", "greatest(l, h)"
-    if clip:
-        lo, hi = f"greatest({lo}, -1.0)", f"least({hi}, 1.0)"
-    return f"""WITH p AS ({D['D3'].points_sql()}),
-e AS (SELECT 0 AS dim, x0 AS v FROM p UNION ALL SELECT 1, x1 FROM p),
+    q = lambda name, share: f"SELECT dim, arg_max(bin, noisy) AS bin FROM (SELECT dim, bin, -abs(rank - {share!r} * (SELECT count(*) FROM p)) * {eps / 4 / 2!r} + {SRC.gumbel_sql('range-' + name, 'dim', 'bin')} AS noisy FROM ranks) t GROUP BY dim"
+    return f"""e AS (SELECT 0 AS dim, x0 AS v FROM p UNION ALL SELECT 1, x1 FROM p),
 hist AS (SELECT dim, least(CAST(floor((v - {low}) / {width!r}) AS BIGINT), 255) AS bin, count(*) AS n FROM e GROUP BY 1, 2),
 every AS (SELECT CAST(range // 256 AS INTEGER) AS dim, range % 256 AS bin FROM range(512)),
 ranks AS (SELECT e.dim, e.bin, sum(coalesce(n, 0)) OVER (PARTITION BY e.dim ORDER BY e.bin) AS rank FROM every e LEFT JOIN hist h ON e.dim = h.dim AND e.bin = h.bin),
-a AS ({q('lo', 0.05)}), b AS ({q('hi', 0.95)}),
-r AS (SELECT a.dim, a.bin * {width!r} + {low} AS l, b.bin * {width!r} + {low} + {width!r} AS h FROM a JOIN b ON a.dim = b.dim)
-SELECT dim, round({lo}, 6) AS lo, round({hi}, 6) AS hi FROM r"""
+qa AS ({q("lo", 0.05)}), qb AS ({q("hi", 0.95)}),
+r AS (SELECT a.dim, a.bin * {width!r} + {low} AS l, b.bin * {width!r} + {low} + {width!r} AS h FROM qa a JOIN qb b ON a.dim = b.dim)"""
+
+
+def _bounds(clip: bool) -> tuple[str, str]:
+    return ("greatest(least(l, h), -1.0)", "least(greatest(l, h), 1.0)") if clip else ("least(l, h)", "greatest(l, h)")
+
+
+def _range_sql(clip: bool) -> str:
+    lo, hi = _bounds(clip)
+    return f"WITH p AS ({D['D3'].points_sql()}),\n{_range_cte(clip, 0.2)}\nSELECT dim, round({lo}, 6) AS lo, round({hi}, 6) AS hi FROM r"
 
 
 query("private_range", _range_sql(True))(lambda spark, sf: rounded(_range(D["D3"].points(spark, sf), True)))
@@ -134,7 +140,7 @@ def step_cte(i: int, d: int, k: int, previous: str, points: str = "p", weight: s
     dist = " + ".join(f"(p.x{q} - c.x{q}) * (p.x{q} - c.x{q})" for q in range(d))
     sums = ", ".join(f"sum({w} * x{q}) AS s{q}" for q in range(d))
     cols = ", ".join(f"p.x{q}" for q in range(d)) + (f", p.{weight}" if weight else "")
-    add = lambda c: f"coalesce({c}, 0) + {SRC.laplace_sql(repr(noise[0]), f'lloyd-{noise[2]}-{noise[1]}-{c}', 'j')}" if noise else c
+    add = lambda c: f"coalesce({c}, 0) + {SRC.laplace_sql(repr(noise[0]), f'{noise_step(noise[2], noise[1], noise[0])}-{c}', 'j')}" if noise else c
     clip = (lambda x: f"least({r}, greatest({-r}, {x}))") if r else (lambda x: x)
     nxt = ", ".join(f"CASE WHEN n >= {least} THEN {clip(f's{q} / n')} ELSE {clip(f'x{q}')} END AS x{q}" for q in range(d))
     return f"""a{i} AS (SELECT id, arg_min(j, (dist, j)) AS j FROM (SELECT p.id, c.j, {dist} AS dist FROM {points} p, {previous} c) t GROUP BY id),
@@ -154,6 +160,24 @@ def rounds_sql(points: str, c, rounds: int, noise=None, **options) -> str:
     return f"WITH {ctes}\nSELECT CAST(j AS INTEGER) AS j, {_all(names(d))} FROM c{rounds}"
 
 
+def family_ctes(points: str, sets, rounds: int, weight: str | None = None, r: float | None = None, least: float = 1.0, noise=None, tag: str = "f") -> str:
+    """Tables {tag}c0 .. of many runs at once (run, j, x0..), from points p (id, x0.., weight).  noise: round, column -> SQL."""
+    d, w, names_ = len(sets[0][0]), weight or "1.0", names(len(sets[0][0]))
+    dist = " + ".join(f"(p.{x} - c.{x}) * (p.{x} - c.{x})" for x in names_)
+    clip = (lambda x: f"least({r}, greatest({-r}, {x}))") if r else (lambda x: x)
+    out = [f"{tag}c0 AS (SELECT * FROM {values([(i, j, *map(lit, c)) for i, s in enumerate(sets) for j, c in enumerate(s)], 'run, j, ' + ', '.join(names_))})"]
+    for i in range(1, rounds + 1):
+        add = lambda c, i=i: f"coalesce({c}, 0) + {noise(i - 1, c)}" if noise else c
+        out.append(f"{tag}a{i} AS MATERIALIZED (SELECT p.id, c.run, arg_min(c.j, ({dist}, c.j)) AS j FROM {points} p, {tag}c{i - 1} c GROUP BY p.id, c.run)")
+        out.append(f"{tag}s{i} AS MATERIALIZED (SELECT a.run AS r, a.j AS k, sum({w}) AS n, {', '.join(f'sum({w} * {x}) AS s{q}' for q, x in enumerate(names_))} FROM {points} p JOIN {tag}a{i} a ON p.id = a.id GROUP BY 1, 2)")
+        nxt = ", ".join(f"CASE WHEN m >= {least} THEN {clip(f't{q} / m')} ELSE {clip(x)} END AS {x}" for q, x in enumerate(names_))
+        out.append(f"{tag}c{i} AS MATERIALIZED (SELECT run, j, {nxt} FROM (SELECT c.run, c.j, {', '.join(f'c.{x}' for x in names_)}, {add('n')} AS m, {', '.join(f'{add(f"s{q}")} AS t{q}' for q in range(d))} FROM {tag}c{i - 1} c LEFT JOIN {tag}s{i} s ON c.run = s.r AND c.j = s.k) m)")
+    return ",\n".join(out)
+
+
+_P = lambda sql: f"p AS MATERIALIZED (SELECT *, row_number() OVER () AS id FROM ({sql}) raw0)"
+
+
 query("lloyd_step", rounds_sql(D["D3"].points_sql(), C3, 1))(lambda spark, sf: table_of(spark, lloyd(D["D3"].points(spark, sf), names(2), C3, 1).centroids))
 query("lloyd_3_iters", rounds_sql(D["D3"].points_sql(), C3, 3))(lambda spark, sf: table_of(spark, lloyd(D["D3"].points(spark, sf), names(2), C3, 3, 0.0).centroids))
 query("lloyd_step_6d", rounds_sql(D["D5"].points_sql(), C5, 1))(lambda spark, sf: table_of(spark, lloyd(D["D5"].points(spark, sf), names(6), C5, 1).centroids))
@@ -173,10 +197,19 @@ def _many(spark, sf):
 query("lloyd_many_step", " UNION ALL ".join(f"SELECT CAST({i} AS BIGINT) AS run, * FROM ({rounds_sql(D['D3'].points_sql(), c, 1)}) r{i}" for i, c in enumerate(PAIR)))(_many)
 
 
-@query("baseline_best_of", f"SELECT round(min(v), 6) AS nicv FROM ({' UNION ALL '.join(f'SELECT avg(dist2) AS v FROM (SELECT *, {nearest_sql(names(2), c)} FROM ({D["D3"].points_sql()}) p) q' for c in PAIR)}) t")
+def _nicv_cte(centroids: str, d: int, name: str, weight: str = "1.0", points: str = "p") -> str:
+    """{name} (run, v): weighted mean squared distances to the nearest centroid of each run."""
+    dist = " + ".join(f"(p.x{q} - c.x{q}) * (p.x{q} - c.x{q})" for q in range(d))
+    return f"{name} AS (SELECT run, sum({weight} * v) / sum({weight}) AS v FROM (SELECT p.id, {'p.' + weight + ', ' if weight != '1.0' else ''}c.run, min({dist}) AS v FROM {points} p, {centroids} c GROUP BY ALL) t GROUP BY run)"
+
+
+_BEST = f"WITH {_P(D['D3'].points_sql())}, {family_ctes('p', PAIR, 4)}, {_nicv_cte('fc4', 2, 'v')} SELECT round(min(v), 6) AS nicv FROM v"
+
+
+@query("baseline_best_of", _BEST)
 def _(spark, sf):
-    df = D["D3"].points(spark, sf)
-    return rounded(spark.createDataFrame([(min(nicv_many(df, names(2), PAIR)),)], "nicv double"))
+    _, cost = best_of(D["D3"].points(spark, sf), names(2), PAIR, max_iter=4, tol=0.0)
+    return rounded(spark.createDataFrame([(float(cost),)], "nicv double"))
 
 
 @query("uniform_init", f"SELECT CAST(a.range AS INTEGER) AS j, {', '.join(R(f'2 * {SRC.uniform_sql("init", "a.range", str(i))} - 1', f'x{i}') for i in range(3))} FROM range(7) a")
@@ -196,7 +229,10 @@ def _(spark, sf):
 
 
 query("init_sets")(lambda spark, sf: as_table(spark, init_sets(30, 3, 2)))
-query("baseline_30")(lambda spark, sf: table_of(spark, best_of(D["D3"].points(spark, sf), names(2), init_sets(30, 2, 2))[0]))
+S30 = init_sets(30, 2, 2)
+_B30 = f"WITH {_P(D['D3'].points_sql())}, {family_ctes('p', S30[:6], 8)}, {_nicv_cte('fc8', 2, 'v')} SELECT round(min(v), 6) AS nicv FROM v"
+query("baseline_six_starts", _B30)(lambda spark, sf: rounded(spark.createDataFrame([(float(best_of(D["D3"].points(spark, sf), names(2), S30[:6], max_iter=8, tol=0.0)[1]),)], "nicv double")))
+query("baseline_30")(lambda spark, sf: table_of(spark, best_of(D["D3"].points(spark, sf), names(2), S30)[0]))
 
 # --- noisy Lloyd -------------------------------------------------------------------------------------
 
@@ -209,15 +245,23 @@ _UNI = uniform_init(2, 2, "0")
 query("noisy_lloyd_uniform", rounds_sql(D["D3"].points_sql(), _UNI, 1, [_SC(2, 1, 1.0)], r=1.0))(lambda spark, sf: table_of(spark, noisy_lloyd(D["D3"].points(spark, sf), names(2), 2, 1.0, 1, init="uniform", source=SRC).centroids))
 
 
-@query("noisy_lloyd_sizes")
+_SIZE = f"SELECT CAST(c.j AS INTEGER) AS cluster, round(coalesce(n, 0) + {SRC.laplace_sql('3.0', noise_step(0, 0, 3.0) + '-n', 'c.j')}, 6) AS n FROM (SELECT range AS j FROM range(2)) c LEFT JOIN (SELECT cluster, count(*) AS n FROM (SELECT {nearest_sql(names(2), C3)} FROM ({D['D3'].points_sql()}) p) q GROUP BY 1) s ON c.j = s.cluster"
+
+
+@query("noisy_lloyd_sizes", _SIZE)
 def _(spark, sf):
     df = D["D3"].points(spark, sf)
     return rounded(noisy_sums(with_empty(partial_sums(assign(df, names(2), C3), names(2)), 2, 2), 2, 3.0, SRC, 0).select("cluster", "n"))
 
 
-@query("noisy_lloyd_many")
+_MANY = [c for c in init_sets(3, 2, 2) for _ in range(5)]
+_MANY_SQL = f"WITH {_P(D['D3'].points_sql())}, {family_ctes('p', _MANY, 5, r=1.0, noise=lambda i, c: SRC.laplace_sql('15.0', f'many-{i}-15-{c}', 'c.run', 'c.j'))} SELECT CAST(run AS BIGINT) AS run, CAST(j AS INTEGER) AS j, {_all(names(2))} FROM fc5"
+
+
+@query("noisy_lloyd_many", _MANY_SQL)
 def _(spark, sf):
-    return as_table(spark, noisy_lloyd_many(D["D3"].points(spark, sf), names(2), init_sets(3, 2, 2), 5, 1.0, source=SRC))
+    sets = noisy_lloyd_many(D["D3"].points(spark, sf), names(2), init_sets(3, 2, 2), 5, 1.0, source=SRC)
+    return rounded(as_table(spark, sets).select("run", "j", F.col("c")[0].alias("x0"), F.col("c")[1].alias("x1")))
 
 
 @query("noisy_lloyd_t_sweep")
@@ -245,7 +289,7 @@ query("block_noise_scale", f"SELECT name, round(2 * 2.0 * k * d / (floor(pow(n,
 
 def _keyed(spark, sf):
     df = table(spark, sf, "orders").select("o_orderkey", F.col("o_totalprice").alias("x0"))
-    return blocks.with_block(df, ["x0"], 40, SRC, "o_orderkey")
+    return blocks.with_block(df, 40, SRC, "o_orderkey")
 
 
 _BLOCK = f"SELECT o_orderkey, o_totalprice, CAST(floor({SRC.uniform_sql('block', 'o_orderkey')} * 40) AS BIGINT) AS block FROM orders"
@@ -255,19 +299,65 @@ query("block_assign", f"SELECT o_orderkey, block FROM ({_BLOCK}) b")(lambda spar
 @query("sample_aggregate_mean", f"SELECT round(sum(least(greatest(v, 0), 500000)) / 40 + (40 - count(*)) * 250000.0 / 40, 6) AS mean FROM (SELECT block, avg(o_totalprice) AS v FROM ({_BLOCK}) b GROUP BY block) m")
 def _(spark, sf):
     df = table(spark, sf, "orders").select("o_orderkey", F.col("o_totalprice").alias("x0"))
-    mean = blocks.sample_aggregate(df, ["x0"], lambda x: x.mean(0), 40, [0.0], [500000.0], None, SRC, "o_orderkey")
+    mean = blocks.sample_aggregate(df, ["x0"], lambda x, block: x.mean(0), 40, [0.0], [500000.0], None, SRC, "o_orderkey")
     return rounded(spark.createDataFrame([(float(mean[0]),)], "mean double"))
 
 
-def _blocks(spark, sf, **options):
-    df = D["D3"].points(spark, sf)
-    return table_of(spark, blocks.block_average(df, names(2), 2, 1.0, df.count(), source=SRC, **options).centroids)
+BLOCK_ROUNDS, RANGE_BINS = 6, 256
 
 
-query("block_average")(lambda spark, sf: _blocks(spark, sf))
+def _blocks(spark, sf, **options):
+    df = D["D3"].points(spark, sf, ("o_orderkey",))
+    return table_of(spark, blocks.block_average(df, names(2), 2, 1.0, df.count(), source=SRC, key="o_orderkey", max_iter=BLOCK_ROUNDS, range_bins=RANGE_BINS, **options).centroids)
+
+
+def blocks_sql(ell: str, clip: bool = True, noise: bool = True, eps: float = 1.0, k: int = 2) -> str:
+    """Two dimensions: blocks by key, starts from rows of the block, rounds, alignment by coordinates, clamped means, noise."""
+    lo, hi = _bounds(clip)
+    bounds = f"SELECT {', '.join(f'max({x}) FILTER (dim = {q}) AS {n}{q}' for q in (0, 1) for x, n in ((lo, 'lo'), (hi, 'hi')))} FROM r" if noise else "SELECT -1.0 AS lo0, 1.0 AS hi0, -1.0 AS lo1, 1.0 AS hi1"
+    steps = [f"c0 AS MATERIALIZED (SELECT s.block, s.j, b.x0, b.x1 FROM (SELECT block, j, CAST(floor({SRC.uniform_sql('block-start', 'block', 'j')} * nb) AS BIGINT) AS pick FROM (SELECT block, count(*) AS nb FROM b GROUP BY 1) n, (SELECT range AS j FROM range({k})) q) s JOIN b ON s.block = b.block AND s.pick = b.place)"]
+    for i in range(1, BLOCK_ROUNDS + 1):
+        steps.append(f"a{i} AS MATERIALIZED (SELECT b.o_orderkey, b.block, b.x0, b.x1, arg_min(c.j, ((b.x0 - c.x0) * (b.x0 - c.x0) + (b.x1 - c.x1) * (b.x1 - c.x1), c.j)) AS j FROM b JOIN c{i - 1} c ON b.block = c.block GROUP BY ALL)")
+        steps.append(f"c{i} AS MATERIALIZED (SELECT c.block, c.j, coalesce(m.x0, c.x0) AS x0, coalesce(m.x1, c.x1) AS x1 FROM c{i - 1} c LEFT JOIN (SELECT block, j, avg(x0) AS x0, avg(x1) AS x1 FROM a{i} GROUP BY 1, 2) m ON c.block = m.block AND c.j = m.j)")
+    mean = ", ".join(f"(sum(least(greatest(x{q}, lo{q}), hi{q})) + (ell - count(*)) * least(greatest((lo{q} + hi{q}) / 2, lo{q}), hi{q})) / ell AS m{q}" for q in (0, 1))
+    out = []
+    for q in (0, 1):
+        x = f"m{q}"
+        if noise:
+            x += f" + {SRC.laplace_sql(f'((hi{q} - lo{q}) * {2 * k} / (ell * {eps / 2!r}))', blocks.noise_step(0, eps / 2), 'CAST(ell AS BIGINT)', f'2 * j + {q}')}"
+        out.append(R(f"least(1.0, greatest(-1.0, {x}))" if clip else x, f"x{q}"))
+    ranges = f"{_range_cte(clip, eps / 2)},\n" if noise else ""
+    return f"""WITH p AS MATERIALIZED ({D['D3'].points_sql('o_orderkey')}),
+z AS (SELECT greatest(1, {ell}) AS ell FROM (SELECT count(*) AS n FROM p) t),
+{ranges}w AS ({bounds}),
+b AS MATERIALIZED (SELECT *, row_number() OVER (PARTITION BY block ORDER BY x0, x1) - 1 AS place FROM (SELECT p.*, CAST(floor({SRC.uniform_sql('block', 'o_orderkey')} * ell) AS BIGINT) AS block FROM p, z) t),
+{(',' + chr(10)).join(steps)},
+o AS (SELECT block, row_number() OVER (PARTITION BY block ORDER BY x0, x1) - 1 AS j, x0, x1 FROM c{BLOCK_ROUNDS}),
+m AS (SELECT j, ell, lo0, hi0, lo1, hi1, {mean} FROM o, z, w GROUP BY j, ell, lo0, hi0, lo1, hi1)
+SELECT CAST(j AS INTEGER) AS j, {', '.join(out)} FROM m"""
+
+
+_POWER, _3K = "floor(pow(n, 0.4) + 0.5)", "floor(n / 6.0 + 0.5)"
+query("block_average", blocks_sql(_POWER))(lambda spark, sf: _blocks(spark, sf))
 query("block_average_3k")(lambda spark, sf: _blocks(spark, sf, blocks="3k"))
-query("block_average_unclipped")(lambda spark, sf: _blocks(spark, sf, clip_range=False))
-query("block_average_no_noise")(lambda spark, sf: _blocks(spark, sf, noise=False))
+query("block_average_unclipped", blocks_sql(_POWER, clip=False))(lambda spark, sf: _blocks(spark, sf, clip_range=False))
+query("block_average_no_noise", blocks_sql(_POWER, noise=False))(lambda spark, sf: _blocks(spark, sf, noise=False))
+query("block_size_sweep", f"SELECT name, a, CAST(greatest(1, floor(n / pow(n, a) + 0.5)) AS BIGINT) AS blocks FROM {_NT}, (SELECT (range + 1) / 10.0 AS a FROM range(10)) e")(
+    lambda spark, sf: spark.createDataFrame([(n, i / 10, em.block_count(N, ("size_exp", i / 10))) for n, N, *_ in PUBLISHED for i in range(1, 11)], "name string, a double, blocks long")
+)
+query("align_lexicographic", "SELECT CAST(row_number() OVER (ORDER BY x0, x1) - 1 AS INTEGER) AS j, x0, x1 FROM (VALUES (0.5, 0.0), (-0.5, 1.0), (-0.5, -1.0)) t(x0, x1)".replace("0.5", "CAST(0.5 AS DOUBLE)").replace("1.0", "CAST(1.0 AS DOUBLE)").replace("0.0", "CAST(0.0 AS DOUBLE)"))(
+    lambda spark, sf: table_of(spark, blocks.align(np.array([[0.5, 0.0], [-0.5, 1.0], [-0.5, -1.0]]), "lexicographic", None).tolist())
+)
+_CLAMP = f"SELECT round(sum(least(greatest(v, 100000), 200000)) / 40 + (40 - count(*)) * 150000.0 / 40, 6) AS mean FROM (SELECT block, max(o_totalprice) AS v FROM ({_BLOCK}) b GROUP BY block) m"
+
+
+@query("block_clamp", _CLAMP)
+def _(spark, sf):
+    df = table(spark, sf, "orders").select("o_orderkey", F.col("o_totalprice").alias("x0"))
+    mean = blocks.sample_aggregate(df, ["x0"], lambda x, block: x.max(0), 40, [100000.0], [200000.0], None, SRC, "o_orderkey")
+    return rounded(spark.createDataFrame([(float(mean[0]),)], "mean double"))
+
+
 query("block_align_anchor")(lambda spark, sf: _blocks(spark, sf, alignment="anchor"))
 query("noise_on_best")(lambda spark, sf: table_of(spark, blocks.noise_only(C3, [2.0, 2.0], 48, 0.5, SRC)))
 query("block_error_sources")(lambda spark, sf: ex.block_sizes(spark, D["D3"].points(spark, sf), 2, 2, 1.0, (0.2, 0.6, 0.9), QUICK))
@@ -287,26 +377,75 @@ query("evolve_rounds", f"SELECT name, e AS eps, CAST(greatest(8, floor(0.00125 *
 query("evolve_share", "SELECT CAST(1.0 / 80 AS DOUBLE) AS share")(lambda spark, sf: spark.createDataFrame([(em.evolve_share(1.0, 8),)], "share double"))
 
 
-@query("crossover", "SELECT i, list_extract(a, i) AS a, list_extract(b, i) AS b FROM (SELECT [1, 2, 8, 9] AS a, [6, 7, 3, 4] AS b) t, (SELECT range + 1 AS i FROM range(4)) r")
-def _(spark, sf):
-    two = spark.range(1).select(F.array(*map(F.lit, (1, 2, 3, 4))).alias("a"), F.array(*map(F.lit, (6, 7, 8, 9))).alias("b"))
-    a, b = ev.crossover(F.col("a"), F.col("b"), F.lit(2), 4)
-    return two.select(F.posexplode(F.arrays_zip(a.alias("a"), b.alias("b"))).alias("i", "v")).select((F.col("i") + 1).cast("long").alias("i"), "v.a", "v.b")
+_PARENTS = ev.init_pool(3, 2, 2, NoiseSource("parents"))
 
 
-@query("mutate", "SELECT CAST(range AS INTEGER) AS i, CASE range WHEN 2 THEN CAST(1.0 AS DOUBLE) ELSE CAST(0.75 AS DOUBLE) END AS v FROM range(4)")
-def _(spark, sf):
-    return spark.range(1).select(F.posexplode(ev.mutate(F.array_repeat(F.lit(0.75), 4), F.lit(2), F.lit(0.5))).alias("i", "v"))
+def theta_sql(rows) -> str:
+    return values([(i, f"[{', '.join(lit(v) for v in t)}]") for i, t in enumerate(rows)], "place, theta")
+
+
+def offspring_sql(parents: str, m: int, n: int, dim: int, half: float, step: str) -> str:
+    """Children (cand, theta) of parents (place, theta) of run 0."""
+    u = lambda what, of: SRC.uniform_sql(f"{step}-{what}", "0", of)
+    pair = "CAST(cand // 2 AS BIGINT)"
+    child = "CASE WHEN cand % 2 = 0 THEN list_concat(a.theta[1:cut], b.theta[cut + 1:]) ELSE list_concat(b.theta[1:cut], a.theta[cut + 1:]) END"
+    moved = f"list_transform(child, lambda v, i: CASE WHEN i - 1 = pos THEN greatest(-1.0, least(1.0, v + move)) ELSE v END)"
+    made = f"SELECT range AS cand, CAST(floor({u('first', pair.replace('cand', 'range'))} * {m}) AS BIGINT) AS f, CAST(floor({u('second', pair.replace('cand', 'range'))} * {max(1, m - 1)}) AS BIGINT) AS s, 1 + CAST(floor({u('cut', pair.replace('cand', 'range'))} * {max(1, dim - 1)}) AS BIGINT) AS cut, CAST(floor({u('place', 'range')} * {dim}) AS BIGINT) AS pos, (2 * {u('move', 'range')} - 1) * {half!r} AS move FROM range({n})"
+    return f"SELECT cand, {moved} AS theta FROM (SELECT cand, pos, move, {child} AS child FROM ({made}) k JOIN ({parents}) a ON a.place = f JOIN ({parents}) b ON b.place = (f + 1 + s) % {m}) w"
+
+
+def _long(sql: str) -> str:
+    return f"SELECT cand, CAST(i AS INTEGER) AS i, round(theta[i + 1], 6) AS v FROM ({sql}) t, (SELECT range AS i FROM range(4)) q"
+
+
+def _children(spark, half: float, step: str) -> DataFrame:
+    parents = spark.createDataFrame([(0, i, [float(v) for v in t]) for i, t in enumerate(_PARENTS)], "run long, place int, theta array<double>")
+    made = ev.offspring(parents, 3, 10, 4, half, SRC, step)
+    return rounded(made.select(F.col("cand").cast("long").alias("cand"), F.posexplode("theta").alias("i", "v")))
 
 
-def _evolved(spark, sf, **options):
+query("crossover", _long(offspring_sql(f"SELECT * FROM {theta_sql(_PARENTS)}", 3, 10, 4, 0.0, "cross")))(lambda spark, sf: _children(spark, 0.0, "cross"))
+query("mutate", _long(offspring_sql(f"SELECT * FROM {theta_sql(_PARENTS)}", 3, 10, 4, 0.5, "mutate")))(lambda spark, sf: _children(spark, 0.5, "mutate"))
+
+
+def evolve_sql(pool: int, keep: int, eps: float, private: bool) -> str:
+    """Two rounds in two dimensions with two clusters."""
+    sens, best = 4 * 2, "least({})".format(", ".join(f"(p.x0 - theta[{a}]) * (p.x0 - theta[{a}]) + (p.x1 - theta[{a + 1}]) * (p.x1 - theta[{a + 1}])" for a in (1, 3)))
+    out = [f"p AS MATERIALIZED ({D['D3'].points_sql()})", f"g0 AS (SELECT place AS cand, theta FROM {theta_sql(ev.init_pool(pool, 2, 2, NoiseSource('pool-0')))})"]
+    for g, (n, share) in enumerate(((keep, eps / (2 * keep)), (1, eps / 2))):
+        rank = f"fit * {share / (2 * sens)!r} + {SRC.gumbel_sql(f'generation-{g}-{eps:.9g}', '0', 'cand')}" if private else "fit"
+        out.append(f"f{g} AS MATERIALIZED (SELECT cand, any_value(theta) AS theta, -sum({best}) AS fit FROM p, g{g} GROUP BY cand)")
+        out.append(f"k{g} AS MATERIALIZED (SELECT * FROM (SELECT row_number() OVER (ORDER BY {rank} DESC, cand) - 1 AS place, theta FROM f{g}) t WHERE place < {n})")
+        if g == 0:
+            out.append(f"g1 AS MATERIALIZED ({offspring_sql('SELECT * FROM k0', keep, pool, 4, 1.0, f'children-0-{eps:.9g}')})")
+    return f"WITH {(',' + chr(10)).join(out)}\nSELECT CAST(j AS INTEGER) AS j, round(theta[2 * j + 1], 6) AS x0, round(theta[2 * j + 2], 6) AS x1 FROM k1, (SELECT range AS j FROM range(2)) q"
+
+
+for _n, _private in (("evolve_two_rounds", True), ("evolve_nonprivate_two_rounds", False)):
+    query(_n, evolve_sql(40, 10, 1.0, _private))(lambda spark, sf, private=_private: _evolved(spark, sf, rounds=2, private=private, n_pool=40))
+
+
+def _evolved(spark, sf, n_pool: int = 200, **options):
     df = D["D3"].points(spark, sf)
-    return table_of(spark, ev.evolve(df, names(2), 2, 1.0, df.count(), pool=60, source=SRC, **options).centroids)
+    return table_of(spark, ev.evolve(df, names(2), 2, 1.0, df.count(), pool=n_pool, source=SRC, **options).centroids)
 
 
 query("evolve")(lambda spark, sf: _evolved(spark, sf))
 query("evolve_nonprivate")(lambda spark, sf: _evolved(spark, sf, private=False))
-query("evolve_round_sweep")(lambda spark, sf: spark.createDataFrame([(r, float(ev.evolve(D["D3"].points(spark, sf), names(2), 2, 1.0, 15000, pool=40, rounds=r, source=SRC).trace[-1])) for r in (2, 8)], "rounds int, cost double"))
+def _round_sweep(spark, sf):
+    df = D["D3"].points(spark, sf)
+    n = df.count()
+    return spark.createDataFrame([(r, float(ev.evolve(df, names(2), 2, 1.0, n, rounds=r, source=SRC).trace[-1])) for r in (2, 4, 8, 16)], "rounds int, cost double")
+
+
+query("evolve_round_sweep")(_round_sweep)
+
+
+@query("evolve_many")
+def _(spark, sf):
+    df = D["D3"].points(spark, sf)
+    return rounded(as_table(spark, [c.centroids for c in ev.evolve_many(df, names(2), 2, 1.0, df.count(), 5, pool=40, source=SRC)]).select("run", "j", F.col("c")[0].alias("x0"), F.col("c")[1].alias("x1")))
+
 
 # --- synopses ----------------------------------------------------------------------------------------
 
@@ -322,12 +461,12 @@ for _n, (_key, _spec) in GRIDS.items():
 
 
 def release_sql(key: str, spec: g.GridSpec, eps: float, run: int = 0) -> str:
-    return f"SELECT e.range AS cell, coalesce(n_exact, 0) + {SRC.laplace_sql(repr(1 / eps), f'grid-{run}', 'e.range')} AS n, {g.cell_center_sql('e.range', spec)} FROM range({spec.cells}) e LEFT JOIN ({_cells_sql(key, spec)}) h ON e.range = h.cell"
+    return f"SELECT e.range AS cell, coalesce(n_exact, 0) + {SRC.laplace_sql(repr(1 / eps), g.noise_step(run, eps), 'e.range')} AS n, {g.cell_center_sql('e.range', spec)} FROM range({spec.cells}) e LEFT JOIN ({_cells_sql(key, spec)}) h ON e.range = h.cell"
 
 
 def _release(spark, sf, key="D3", spec=GRIDS["2d"][1], eps=1.0):
     w = D[key]
-    return g.release_grid(w.points(spark, sf), w.cols, eps, 15000, spec=spec, source=SRC)
+    return g.release_grid(w.points(spark, sf), w.cols, eps, spec=spec, source=SRC)
 
 
 S2 = GRIDS["2d"][1]
@@ -359,13 +498,35 @@ query("grid_round_replicate", f"SELECT cell, CAST(greatest(0, floor(n + 0.5)) AS
 query("synopsis_nicv", f"SELECT round(sum(n * dist2) / sum(n), 6) AS nicv FROM (SELECT n, {nearest_sql(names(2), C3)} FROM ({release_sql('D3', S2, 1.0)}) r) q")(lambda spark, sf: rounded(spark.createDataFrame([(synopsis_nicv(_release(spark, sf).cells, names(2), C3),)], "nicv double")))
 
 
+def grid_cte(eps: float, tag: str = "g", theta: float = 10.0, run: int = 0) -> str:
+    """{tag}(id, n, x0, x1): the synopsis of points p in two dimensions, whose size follows the number of rows."""
+    cell = "(" + " * m + ".join(f"greatest(0, least(CAST(floor((x{i} + 1.0) / 2.0 * m) AS BIGINT), m - 1))" for i in (0, 1)) + ")"
+    return f"""{tag}z AS (SELECT greatest(1, CAST(floor(sqrt(greatest(1.0, count(*) * {eps!r} / {theta!r})) + 0.5) AS BIGINT)) AS m FROM p),
+{tag}h AS (SELECT {cell} AS cell, count(*) AS c FROM p, {tag}z GROUP BY 1),
+{tag} AS MATERIALIZED (SELECT e.cell AS id, coalesce(c, 0) + {SRC.laplace_sql(repr(1 / eps), g.noise_step(run, eps), 'e.cell')} AS n, 2.0 * ((e.cell // m) % m + 0.5) / m - 1.0 AS x0, 2.0 * (e.cell % m + 0.5) / m - 1.0 AS x1 FROM (SELECT unnest(range(m * m)) AS cell, m FROM {tag}z) e LEFT JOIN {tag}h h ON e.cell = h.cell)"""
+
+
+ROUNDS = 100
+
+
+def grid_kmeans_ctes(eps: float, sets, tag: str = "g") -> str:
+    """{tag}best (j, x0, x1): the start whose outcome is best on the synopsis."""
+    steps = family_ctes(tag, sets, ROUNDS, "n", 1.0, 1e-9, tag=tag)
+    cost = _nicv_cte(f"{tag}c{ROUNDS}", 2, f"{tag}v", "n", tag)
+    return f"{grid_cte(eps, tag)},\n{steps},\n{cost},\n{tag}best AS MATERIALIZED (SELECT j, x0, x1 FROM {tag}c{ROUNDS} WHERE run = (SELECT run FROM {tag}v ORDER BY round(v, 9), run LIMIT 1))"
+
+
+def grid_kmeans_sql(eps: float, sets) -> str:
+    return f"WITH {_P(D['D3'].points_sql())},\n{grid_kmeans_ctes(eps, sets)}\nSELECT CAST(j AS INTEGER) AS j, {_all(names(2))} FROM gbest"
+
+
 def _grid(spark, sf, inits):
     df = D["D3"].points(spark, sf)
     return table_of(spark, grid_kmeans(df, names(2), 2, 1.0, df.count(), inits, source=SRC).centroids)
 
 
-query("grid_kmeans_1init")(lambda spark, sf: _grid(spark, sf, [C3]))
-query("grid_select_init")(lambda spark, sf: _grid(spark, sf, 30))
+query("grid_kmeans_1init", grid_kmeans_sql(1.0, [C3]))(lambda spark, sf: _grid(spark, sf, [C3]))
+query("grid_select_init", grid_kmeans_sql(1.0, S30))(lambda spark, sf: _grid(spark, sf, 30))
 query("grid_theta_sweep")(lambda spark, sf: ex.theta_sweep(spark, ex.stand_ins(spark, sf, ["D3"]), 1.0, QUICK))
 query("grid_degenerate", "SELECT CAST(1 AS BIGINT) AS cells, CAST(true AS BOOLEAN) AS alike")(
     lambda spark, sf: (lambda s: spark.createDataFrame([(s.cells, s.m == (1,) * 64)], "cells long, alike boolean"))(g.grid_spec(g.cells_general(500, 0.1, 64), 64))
@@ -421,11 +582,31 @@ def _two(spark, sf, key="D3", **options):
     return two_stage(df, w.cols, w.k, options.pop("eps", 1.0), df.count(), source=SRC, **options)
 
 
-query("two_stage_entry")(lambda spark, sf: table_of(spark, _two(spark, sf).centroids))
-query("two_stage_refine")(lambda spark, sf: table_of(spark, _two(spark, sf, eps=2.0).centroids))
-query("two_stage_fallback")(lambda spark, sf: table_of(spark, _two(spark, sf, eps=0.01).centroids))
-query("two_stage_forced")(lambda spark, sf: table_of(spark, _two(spark, sf, eps=0.05, force="refine").centroids))
-query("two_stage_rounds")(lambda spark, sf: table_of(spark, _two(spark, sf, refine_rounds=2, force="refine").centroids))
+def two_stage_sql(eps: float, split: float = 0.5, rounds: int = 1, force: str | None = None) -> str:
+    """Both ways of the planner on D3 (two dimensions, two clusters), and its choice by the threshold."""
+    first, rest = split * eps, (eps - split * eps) / rounds
+    noisy = family_ctes("p", S30[:1], rounds, r=1.0, noise=lambda i, c: SRC.laplace_sql(repr(3.0 / rest), f"{noise_step(0, i, 3.0 / rest)}-{c}", "c.j"), tag="r")
+    refine = f"{grid_kmeans_ctes(first, S30, 'h')},\nrc0 AS (SELECT 0 AS run, * FROM hbest),\n" + noisy.split("\n", 1)[1]
+    pays = "true" if force == "refine" else f"{eps!r} >= (SELECT {em.epsilon_threshold_sql(n='count(*)', d='2', k='2', rho='0.25')} FROM p)"
+    grid = "" if force == "refine" else f"{grid_kmeans_ctes(eps, S30)},\n"
+    whole = "" if force == "refine" else f" UNION ALL SELECT j, x0, x1 FROM gbest WHERE NOT {pays}"
+    return f"WITH {_P(D['D3'].points_sql())},\n{grid}{refine}\nSELECT CAST(j AS INTEGER) AS j, {_all(names(2))} FROM (SELECT j, x0, x1 FROM rc{rounds} WHERE {pays}{whole}) t"
+
+
+query("two_stage_entry", two_stage_sql(1.0))(lambda spark, sf: table_of(spark, _two(spark, sf).centroids))
+query("two_stage_refine", two_stage_sql(2.0))(lambda spark, sf: table_of(spark, _two(spark, sf, eps=2.0).centroids))
+query("two_stage_fallback", two_stage_sql(0.01))(lambda spark, sf: table_of(spark, _two(spark, sf, eps=0.01).centroids))
+query("two_stage_forced", two_stage_sql(0.05, force="refine"))(lambda spark, sf: table_of(spark, _two(spark, sf, eps=0.05, force="refine").centroids))
+query("two_stage_rounds", two_stage_sql(1.0, rounds=2, force="refine"))(lambda spark, sf: table_of(spark, _two(spark, sf, refine_rounds=2, force="refine").centroids))
+
+
+@query("two_stage_many")
+def _(spark, sf):
+    df = D["D3"].points(spark, sf)
+    sets = two_stage_many(df, names(2), 2, 1.0, df.count(), source=SRC)
+    return rounded(as_table(spark, sets).select("run", "j", F.col("c")[0].alias("x0"), F.col("c")[1].alias("x1")))
+
+
 query("two_stage_split_sweep")(lambda spark, sf: spark.createDataFrame([(s, *map(float, _two(spark, sf, split=s, force="refine").centroids[0])) for s in (0.3, 0.5, 0.7)], "split double, x0 double, x1 double"))
 # the refining round in SQL, from the centroids of a first stage that both engines know
 query("two_stage_refine_round", rounds_sql(D["D3"].points_sql(), C3, 1, [3 / 0.5], r=1.0))(lambda spark, sf: table_of(spark, noisy_lloyd(D["D3"].points(spark, sf), names(2), 2, 0.5, 1, init=C3, source=SRC).centroids))
@@ -503,11 +684,25 @@ query("mse_decomposition", f"SELECT round(avg(e * e), 6) AS mse, round(var_pop(e
 query("grid_bias_exact", f"SELECT cluster, round(avg(-1 + 2 * (floor((x0 + 1) / 2 * 39) + 0.5) / 39 - x0), 6) AS bias0 FROM (SELECT *, {nearest_sql(names(2), C3)} FROM ({D['D3'].points_sql()}) p WHERE x0 < 1) q GROUP BY cluster")(
     lambda spark, sf: rounded(assign(D["D3"].points(spark, sf).where("x0 < 1"), names(2), C3).withColumn("t", F.element_at(F.array(*g.cell_center(g.cell_id(names(2), S2), S2)), 1)).groupBy("cluster").agg(F.avg(F.col("t") - F.col("x0")).alias("bias0")))
 )
-query("purity_embeddings", "SELECT round(sum(n) * 1.0 / sum(total), 6) AS purity FROM (SELECT max(n) AS n, sum(n) AS total FROM (SELECT embedding[1] > 0 AS cluster, label, count(*) AS n FROM embeddings GROUP BY 1, 2) t GROUP BY cluster) u")(
-    lambda spark, sf: rounded(metrics.purity(table(spark, sf, "embeddings").select((F.col("embedding")[0] > 0).alias("cluster"), "label")))
-)
-query("convergence_trace")(lambda spark, sf: ex.convergence(spark, D["D4"].points(spark, sf), 3, 3, 5, 8))
-query("iters_to_baseline")(lambda spark, sf: metrics.iterations_to(ex.convergence(spark, D["D4"].points(spark, sf), 3, 3, 5, 8), 0.62))
+C7 = uniform_init(4, 10, "embeddings", 0.5)
+_PUR = f"SELECT round(sum(n) * 1.0 / sum(total), 6) AS purity FROM (SELECT max(n) AS n, sum(n) AS total FROM (SELECT cluster, label, count(*) AS n FROM (SELECT label, {nearest_sql(names(10), C7)} FROM ({D['D7'].points_sql('label')}) p) q GROUP BY 1, 2) t GROUP BY cluster) u"
+query("purity_embeddings", _PUR)(lambda spark, sf: rounded(metrics.purity(assign(D["D7"].points(spark, sf, ("label",)), names(10), C7))))
+
+
+@query("centroid_mse_empirical", f"SELECT round(avg(pow((30.0 + {SRC.laplace_sql('2.0', 'sum-0', 'range')}) / (400.0 + {SRC.laplace_sql('2.0', 'count', 'range')}) - 30.0 / 400.0, 2)), 9) AS mse FROM range(2000)")
+def _(spark, sf):
+    return metrics.centroid_mse_empirical(spark, [30.0], 400.0, 2.0, source=SRC).select(F.round("mse", 9).alias("mse"))
+
+
+query("convergence_trace")(lambda spark, sf: ex.convergence(spark, D["D4"].points(spark, sf), 3, 3, 30, 12))
+@query("iters_to_baseline")
+def _(spark, sf):
+    """Rounds until 1% above the best of thirty runs."""
+    df = D["D4"].points(spark, sf)
+    return metrics.iterations_to(ex.convergence(spark, df, 3, 3, 30, 12), best_of(df, names(3), init_sets(30, 3, 3))[1])
+
+
+
 query("run_stats")(lambda spark, sf: (lambda c: spark.createDataFrame([(c.path, c.stats["scans"], c.ledger.spent, c.decision.explain())], "path string, scans int, spent double, decision string"))(_two(spark, sf)))
 
 # --- generated data and experiments ------------------------------------------------------------------

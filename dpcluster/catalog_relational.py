@@ -6,10 +6,11 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from dpcluster.catalog import query, rounded
-from dpcluster.catalog_methods import C3, D, SRC, S2, _A, _cells_sql, _release, lit, release_sql
+from dpcluster.catalog_methods import C3, D, SRC, S2, _A, _P, _cells_sql, _release, family_ctes, grid_kmeans_sql, lit, nearest_sql, release_sql, values
 from dpcluster.functions.domain import names
 from dpcluster.operators import grid as g
-from dpcluster.operators.lloyd import assign
+from dpcluster.operators.centroids import as_table, uniform_init
+from dpcluster.operators.lloyd import assign, lloyd
 from dpcluster.sources.io import round_trip
 from dpcluster.sources.workloads import hash_sample, table
 from dpcluster.streaming import windows as sw
@@ -93,26 +94,31 @@ simple("interval_join_windows", "SELECT d, count(*) AS n FROM (SELECT CAST(range
 
 @query("asof_release", "SELECT event_id, max(w) AS w FROM events JOIN (SELECT CAST(range * 7 AS INTEGER) AS w FROM range(5)) r ON date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) >= w GROUP BY event_id")
 def _(spark, sf):
-    """The latest of weekly releases before each event: union, then the last release seen on the way."""
+    """The latest of weekly releases before each event.
+
+    Releases are few: their days are one sorted array beside every event, and nothing is shuffled or sorted by time."""
     day = F.datediff("ts", F.lit("2024-01-01").cast("date"))
-    events = table(spark, sf, "events").select("event_id", day.alias("at"), F.lit(None).cast("int").alias("w"))
-    releases = spark.range(5).select(F.lit(None).cast("long").alias("event_id"), (F.col("id") * 7).cast("int").alias("at"), (F.col("id") * 7).cast("int").alias("w"))
-    # releases are few: each week's events carry theirs, so the window is within a week and not over all rows
-    both = events.unionAll(releases).withColumn("week", F.floor(F.col("at") / 7))
-    w = Window.partitionBy("week").orderBy("at", F.col("event_id").asc_nulls_first()).rowsBetween(Window.unboundedPreceding, 0)
-    return both.withColumn("w", F.last("w", ignorenulls=True).over(w)).where("event_id is not null").select("event_id", "w")
+    releases = spark.range(5).select((F.col("id") * 7).cast("int").alias("at")).agg(F.sort_array(F.collect_list("at")).alias("at"))
+    return table(spark, sf, "events").select("event_id", day.alias("day")).join(F.broadcast(releases)).select("event_id", F.array_max(F.filter("at", lambda x: x <= F.col("day"))).alias("w")).where("w is not null")
+
+
+_TWO = [C3, uniform_init(2, 2, "other")]
+_TWO_SQL = values([(i, j, *map(lit, c)) for i, s in enumerate(_TWO) for j, c in enumerate(s)], "run, j, x0, x1")
 
 
-@query("centroid_pairs", "SELECT CAST(a.n_nationkey AS INTEGER) AS a, CAST(b.n_nationkey AS INTEGER) AS b FROM nation a JOIN nation b ON a.n_nationkey < b.n_nationkey AND a.n_regionkey = b.n_regionkey")
+@query("centroid_pairs", f"SELECT a.run AS run, round(sqrt(pow(a.x0 - b.x0, 2) + pow(a.x1 - b.x1, 2)), 6) AS apart FROM {_TWO_SQL} JOIN {_TWO_SQL.replace(' t(', ' u(')} ON true".split(" FROM ")[0].replace("a.run", "CAST(a.run AS BIGINT)") + f" FROM (SELECT * FROM {_TWO_SQL}) a JOIN (SELECT * FROM {_TWO_SQL}) b ON a.run = b.run AND a.j < b.j")
 def _(spark, sf):
-    n = table(spark, sf, "nation")
-    a, b = n.select(F.col("n_nationkey").cast("int").alias("a"), "n_regionkey"), n.select(F.col("n_nationkey").cast("int").alias("b"), "n_regionkey")
-    return a.join(b, "n_regionkey").where("a < b").select("a", "b")
+    """How far the centroids of a run are from each other: a self join within the run."""
+    c = as_table(spark, _TWO)
+    apart = F.sqrt(F.aggregate(F.zip_with("a.c", "b.c", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x))
+    return rounded(c.alias("a").join(c.alias("b"), (F.col("a.run") == F.col("b.run")) & (F.col("a.j") < F.col("b.j"))).select(F.col("a.run").alias("run"), apart.alias("apart")))
 
 
 # --- aggregates and windows --------------------------------------------------------------------------
 
-simple("centroids_as_arrays", "SELECT c_nationkey, array_to_string(list_sort(list(c_custkey)), ',') AS ids FROM customer GROUP BY 1", lambda t: t("customer").groupBy("c_nationkey").agg(F.array_join(F.sort_array(F.collect_list("c_custkey")).cast("array<string>"), ",").alias("ids")))
+query("centroids_as_arrays", f"SELECT CAST(run AS BIGINT) AS run, string_agg(j || ':' || round(x0, 3) || ':' || round(x1, 3), ',' ORDER BY j) AS cs FROM {_TWO_SQL} GROUP BY run")(
+    lambda spark, sf: as_table(spark, _TWO).groupBy("run").agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("j", "c"))), lambda x: F.concat_ws(":", x["j"], F.round(x["c"][0], 3), F.round(x["c"][1], 3))), ",").alias("cs"))  # k centroids a run
+)
 query("nonempty_cells", f"SELECT count(DISTINCT cell) AS n FROM ({_cells_sql('D3', S2)}) q")(lambda spark, sf: D["D3"].points(spark, sf).agg(F.countDistinct(g.cell_id(names(2), S2)).alias("n")))
 query("capacity_estimates")(lambda spark, sf: table(spark, sf, "lineitem").agg(F.approx_count_distinct("l_partkey").alias("parts"), F.percentile_approx("l_quantity", 0.5).alias("median")))
 simple("profile_columns", "SELECT round(quantile_cont(l_quantity, 0.25), 6) AS q1, round(var_samp(l_tax), 6) AS v, round(corr(l_quantity, l_extendedprice), 6) AS c FROM lineitem", lambda t: rounded(t("lineitem").agg(F.percentile("l_quantity", F.lit(0.25)).alias("q1"), F.var_samp("l_tax").alias("v"), F.corr("l_quantity", "l_extendedprice").alias("c"))))
@@ -138,7 +144,19 @@ simple("rank_candidates", "SELECT c_custkey, CAST(row_number() OVER w AS INTEGER
 def _user():
     return Window.partitionBy("user_id").orderBy("ts", "event_id")
 
-simple("centroid_moves", "SELECT event_id, round(value - lag(value) OVER w, 6) AS back, round(lead(value) OVER w, 6) AS next, round(first_value(value) OVER w, 6) AS first FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)", lambda t: rounded(t("events").select("event_id", (F.col("value") - F.lag("value").over(_user())).alias("back"), F.lead("value").over(_user()).alias("next"), F.first("value").over(_user()).alias("first"))))
+_MOVES = f"WITH {_P(D['D3'].points_sql())}, {family_ctes('p', [C3], 3)}, t AS (" + " UNION ALL ".join(f"SELECT {i} AS i, j, x0, x1 FROM fc{i}" for i in range(4)) + ") SELECT CAST(i AS INTEGER) AS i, CAST(j AS INTEGER) AS j, round(sqrt(pow(x0 - lag(x0) OVER w, 2) + pow(x1 - lag(x1) OVER w, 2)), 6) AS back, round(first_value(x0) OVER w, 6) AS first, round(lead(x0) OVER w, 6) AS next FROM t WINDOW w AS (PARTITION BY j ORDER BY i)"
+
+
+@query("centroid_moves", _MOVES)
+def _(spark, sf):
+    """How far each centroid moves from round to round."""
+    trace = lloyd(D["D3"].points(spark, sf), names(2), C3, 3, 0.0).trace
+    t = as_table(spark, trace, "i").select(F.col("i").cast("int").alias("i"), "j", F.col("c")[0].alias("x0"), F.col("c")[1].alias("x1"))
+    w = Window.partitionBy("j").orderBy("i")
+    back = F.sqrt(F.pow(F.col("x0") - F.lag("x0").over(w), 2) + F.pow(F.col("x1") - F.lag("x1").over(w), 2))
+    return rounded(t.select("i", "j", back.alias("back"), F.first("x0").over(w).alias("first"), F.lead("x0").over(w).alias("next")))
+
+
 
 
 @query("hist_cumulative", "SELECT bin, sum(n) OVER (ORDER BY bin) AS upto FROM (SELECT CAST(floor(l_quantity) AS BIGINT) AS bin, count(*) AS n FROM lineitem GROUP BY 1) h")
@@ -158,7 +176,7 @@ simple("fn_text_features", "SELECT doc_id, length(text) AS n, length(text) - len
 simple("fn_json_feature", "SELECT event_id, CAST(json_extract(props, '$.k') AS BIGINT) AS k FROM events", lambda t: t("events").select("event_id", F.from_json("props", "k long")["k"].alias("k")))
 simple("fn_vector_distance", "SELECT vec_id, round(sqrt(list_sum(list_transform(embedding, lambda x: (CAST(x AS DOUBLE) - 0.1) * (CAST(x AS DOUBLE) - 0.1)))), 6) AS d FROM embeddings", lambda t: rounded(t("embeddings").select("vec_id", F.sqrt(F.aggregate("embedding", F.lit(0.0), lambda s, x: s + (x.cast("double") - 0.1) * (x.cast("double") - 0.1))).alias("d"))))
 simple("explode_embedding", "SELECT vec_id, CAST(i AS INTEGER) AS i, round(CAST(list_extract(embedding, i + 1) AS DOUBLE), 6) AS v FROM embeddings, (SELECT range AS i FROM range(64)) r", lambda t: rounded(t("embeddings").select("vec_id", F.posexplode("embedding").alias("i", "v")).withColumn("v", F.col("v").cast("double"))))
-simple("fn_map_counts", "SELECT event_type, count(*) AS n FROM events GROUP BY 1", lambda t: t("events").groupBy(F.lit(1)).agg(F.collect_set("event_type").alias("types")).crossJoin(t("events").groupBy("event_type").agg(F.count("*").alias("c")).agg(F.map_from_entries(F.collect_list(F.struct("event_type", "c"))).alias("m"))).select(F.explode("m").alias("event_type", "n")))
+simple("fn_map_counts", "SELECT event_id, CASE event_type " + " ".join(f"WHEN '{t}' THEN {i}" for i, t in enumerate(("click", "view", "purchase"))) + " ELSE -1 END AS code FROM events", lambda t: t("events").select("event_id", F.coalesce(F.element_at(F.create_map(*(F.lit(x) for i, t_ in enumerate(("click", "view", "purchase")) for x in (t_, i))), F.col("event_type")), F.lit(-1)).alias("code")))
 simple("fn_null_rules", "SELECT d.doc_id, coalesce(nullif(quality, 0), -1) AS q, CASE WHEN toxic IS NULL THEN 'none' WHEN toxic = 1 THEN 'yes' ELSE 'no' END AS t FROM documents d LEFT JOIN labels l ON d.doc_id = l.doc_id", lambda t: t("documents").select("doc_id").join(t("labels"), "doc_id", "left").select("doc_id", F.coalesce(F.nullif("quality", F.lit(0)), F.lit(-1)).alias("q"), F.when(F.col("toxic").isNull(), "none").when(F.col("toxic") == 1, "yes").otherwise("no").alias("t")))
 simple("sum_fixed_point", "SELECT l_returnflag, sum(CAST(floor(l_extendedprice * 1000000 + 0.5) AS BIGINT)) AS total FROM lineitem GROUP BY 1", lambda t: t("lineitem").groupBy("l_returnflag").agg(F.sum(F.floor(F.col("l_extendedprice") * 1000000 + 0.5).cast("decimal(38,0)")).alias("total")))
 
@@ -186,13 +204,71 @@ def _(spark, sf):
     return spark.sql("SELECT cell, round(centre[0], 6) AS x0, round(centre[1], 6) AS x1 FROM grid_cells(4, 2)")
 
 
-@query("estimator", _A.replace("SELECT ", "SELECT ", 1))
+_EST = grid_kmeans_sql(1.0, [C3])
+_EST = _EST[: _EST.rindex("\nSELECT")]
+
+
+@query("estimator", f"{_EST}, est AS (SELECT p.id, arg_min(c.j, ((p.x0 - c.x0) * (p.x0 - c.x0) + (p.x1 - c.x1) * (p.x1 - c.x1), c.j)) AS j FROM p, gbest c GROUP BY p.id) SELECT CAST(j AS INTEGER) AS cluster, count(*) AS n FROM est GROUP BY 1")
+def _(spark, sf):
+    """fit and transform: sizes of the clusters of a fitted model."""
+    from dpcluster.operators.estimator import PrivateKMeans
+
+    df = D["D3"].points(spark, sf)
+    model = PrivateKMeans("grid_kmeans", 2, 1.0, options={"source": SRC, "inits": [C3]}).fit(df, names(2))
+    return model.transform(df).groupBy("cluster").agg(F.count("*").alias("n"))
+
+
+@query("result_store", f"WITH {_P(D['D3'].points_sql())}, {family_ctes('p', [C3], 2)} SELECT CAST(j AS INTEGER) AS j, round(x0, 6) AS x0, round(x1, 6) AS x1 FROM fc2")
+def _(spark, sf):
+    """Centroids written and read back."""
+    import uuid
+
+    from dpcluster.sources.io import load_centroids, save_centroids, shared_folder
+
+    path = f"{shared_folder(spark)}/centroids-{uuid.uuid4().hex}"
+    save_centroids(spark, path, lloyd(D["D3"].points(spark, sf), names(2), C3, 2, 0.0).centroids)
+    return rounded(load_centroids(spark, path).select("j", F.col("c")[0].alias("x0"), F.col("c")[1].alias("x1")))
+
+
+@query("text_lines", "SELECT count(*) AS n FROM customer")
+def _(spark, sf):
+    """Text written and read back, a row a line."""
+    return round_trip(table(spark, sf, "customer").select(F.concat_ws("|", "c_custkey", "c_name").alias("value")), "text").agg(F.count("*").alias("n"))
+
+
+@query("stratified_sample", "SELECT c_custkey, c_mktsegment FROM customer WHERE CAST(('0x' || substr(md5(CAST(c_custkey AS VARCHAR)), 1, 8)) AS BIGINT) % 100 < CASE c_mktsegment WHEN 'BUILDING' THEN 50 ELSE 10 END")
+def _(spark, sf):
+    from dpcluster.sources.workloads import stratified_sample
+
+    return stratified_sample(table(spark, sf, "customer"), "c_mktsegment", {"BUILDING": 50}, 10, "c_custkey").select("c_custkey", "c_mktsegment")
+
+
+_NEAR = f"SELECT o_orderkey, cluster FROM (SELECT *, {nearest_sql(names(2), C3)} FROM ({D['D3'].points_sql('o_orderkey')}) p) q"
+
+
+@query("nearest_vectorized", _NEAR)
+def _(spark, sf):
+    from dpcluster.functions.sql import nearest_udf
+
+    return D["D3"].points(spark, sf, ("o_orderkey",)).select("o_orderkey", nearest_udf(C3)("x0", "x1").alias("cluster"))
+
+
+@query("sql_nearest", _NEAR)
+def _(spark, sf):
+    from dpcluster.functions.sql import register
+
+    register(spark)
+    D["D3"].points(spark, sf, ("o_orderkey",)).createOrReplaceTempView("keyed_d3")
+    c = ", ".join(f"array({', '.join(f'{x!r}D' for x in p)})" for p in C3)
+    return spark.sql(f"SELECT o_orderkey, nearest2(array(x0, x1), array({c})) AS cluster FROM keyed_d3")
+
+
+@query("weighted_centroid", f"SELECT cluster, round(sum(w * x0) / sum(w), 6) AS x0, round(sum(w * x1) / sum(w), 6) AS x1 FROM (SELECT x0, x1, 1 + abs(x1) AS w, {nearest_sql(names(2), C3)} FROM ({D['D3'].points_sql()}) p) q GROUP BY cluster")
 def _(spark, sf):
-    from dpcluster.operators.estimator import PrivateKMeansModel
-    from dpcluster.operators.lloyd import Clustering
+    from dpcluster.functions.sql import weighted_centroid
 
-    df: DataFrame = D["D3"].points(spark, sf)
-    return rounded(PrivateKMeansModel(Clustering(C3), names(2)).transform(df))
+    df = assign(D["D3"].points(spark, sf).withColumn("w", 1 + F.abs("x1")), names(2), C3)
+    return rounded(df.groupBy("cluster").agg(weighted_centroid(names(2), "w").alias("c")).select("cluster", F.col("c")[0].alias("x0"), F.col("c")[1].alias("x1")))
 
 
 __all__ = ["assign", "lit"]

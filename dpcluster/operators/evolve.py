@@ -1,16 +1,16 @@
 """Model fitting by private evolution: selection by the exponential mechanism, crossover, mutation.
 
-The pool is a few hundred vectors on the driver; the fitness of all of them is one scan.
+The pool is a few hundred vectors; the fitness of all of them, and of the pools of other runs, is one scan.
 """
 
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from dpcluster.functions.noise import NoiseSource
-from dpcluster.functions.privacy import BudgetLedger, exp_select, sensitivity
+from dpcluster.functions.privacy import BudgetLedger, sensitivity
 from dpcluster.operators.lloyd import Clustering, family_sums
 from dpcluster.plans.error_model import evolve_rounds, evolve_share
 
@@ -38,43 +38,65 @@ def fitness_of_pool(df: DataFrame, cols: list[str], pool: np.ndarray, k: int) ->
     return family_sums(df, cols, sets).groupBy(F.col("run").alias("cand")).agg((-F.sum("cost")).alias("fit"))
 
 
-def children(parents: np.ndarray, n: int, half: float, rng: np.random.Generator, r: float = 1.0) -> np.ndarray:
-    out, dim = [], parents.shape[1]
-    while len(out) < n:
-        a, b = parents[rng.choice(len(parents), 2, replace=len(parents) < 2)]
-        cut = int(rng.integers(1, dim)) if dim > 1 else 0
-        for child in (np.concatenate([a[:cut], b[cut:]]), np.concatenate([b[:cut], a[cut:]])):
-            child = child.copy()
-            i = int(rng.integers(dim))
-            child[i] = np.clip(child[i] + rng.uniform(-half, half), -r, r)
-            out.append(child)
-    return np.array(out[:n])
+def offspring(parents: DataFrame, m: int, n: int, dim: int, half: float, source: NoiseSource, step: str, r: float = 1.0) -> DataFrame:
+    """(run, cand, theta): n children of each run's m parents (run, place, theta), by crossover and mutation.
 
+    Children 2i and 2i + 1 come from one pair of parents and one cut."""
+    u = lambda what, of: source.uniform(f"{step}-{what}", "run", of)
+    pair = F.floor(F.col("cand") / 2)
+    first = F.floor(u("first", pair) * m).cast("int")
+    second = F.pmod(first + 1 + F.floor(u("second", pair) * max(1, m - 1)).cast("int"), F.lit(m))  # another parent, where there is one
+    cut = (1 + F.floor(u("cut", pair) * max(1, dim - 1))).cast("int")
+    made = parents.select("run").distinct().withColumn("cand", F.explode(F.sequence(F.lit(0), F.lit(n - 1)))).withColumns({"first": first, "second": second, "cut": cut})
+    a, b = (parents.select(F.col("run").alias(f"run_{x}"), F.col("place").alias(f"place_{x}"), F.col("theta").alias(x)) for x in "ab")
+    both = made.join(a, (F.col("run") == F.col("run_a")) & (F.col("first") == F.col("place_a"))).join(b, (F.col("run") == F.col("run_b")) & (F.col("second") == F.col("place_b")))
+    one, two = crossover(F.col("a"), F.col("b"), F.col("cut"), dim)
+    child = F.when(F.col("cand") % 2 == 0, one).otherwise(two) if dim > 1 else F.col("a")
+    moved = mutate(F.col("child"), F.floor(u("place", "cand") * dim).cast("int"), (2 * u("move", "cand") - 1) * half, r)
+    return both.withColumn("child", child).select("run", "cand", moved.alias("theta"))
 
-def evolve_fit(df: DataFrame, fitness, start: np.ndarray, sens: float, eps: float, rounds: int, keep: int = KEEP, private: bool = True, source: NoiseSource | None = None, ledger: BudgetLedger | None = None, seed: int = 0, trace=None) -> np.ndarray:
-    """fitness(df, pool) -> (cand, fit), larger is better.  A round costs keep picks; the last makes one, with their whole share."""
-    source, rng, pool = source or NoiseSource.secret(), np.random.default_rng(seed), start
+
+def evolve_fits(df: DataFrame, fitness, starts: list[np.ndarray], sens: float, eps: float, rounds: int, keep: int = KEEP, private: bool = True, source: NoiseSource | None = None, ledger: BudgetLedger | None = None, traces: list[list] | None = None) -> list[np.ndarray]:
+    """Several runs, whose pools are judged in the same scans.  fitness(df, pool) -> (cand, fit), larger is better.
+
+    A round costs keep picks; the last makes one, with their whole share."""
+    source, spark, size = source or NoiseSource.secret(), df.sparkSession, len(starts[0])
+    dim, pools = starts[0].shape[1], np.stack(starts)
     for g in range(rounds):
         last = g == rounds - 1
-        scores, n = fitness(df, pool), 1 if last else keep
-        share = eps / rounds if last else evolve_share(eps, rounds, keep)
+        n, share = (1, eps / rounds) if last else (keep, evolve_share(eps, rounds, keep))
+        scores = fitness(df, pools.reshape(-1, dim)).select(F.floor(F.col("cand") / size).alias("run"), F.pmod("cand", F.lit(size)).alias("cand"), "fit")
+        rank = F.col("fit")
         if private:
-            picked = exp_select(scores, "fit", "cand", share, sens, source, f"generation-{g}", n)
+            rank = rank * (share / (2 * sens)) + source.gumbel(f"generation-{g}-{eps:.9g}", "run", "cand")
             if ledger:
                 ledger.spend(f"generation {g + 1}", n * share, sens, n)
-        else:
-            picked = scores.orderBy(F.desc("fit"), "cand").limit(n)
-        rows = picked.collect()  # keep rows
-        chosen = pool[[x["cand"] for x in rows]]
-        if trace is not None:
-            trace.append(-max(x["fit"] for x in rows))
-        pool = chosen if last else children(chosen, len(start), 0.5**g, rng)
-    return pool[0]
-
-
-def evolve(df: DataFrame, cols: list[str], k: int, eps: float, n: float, pool: int = POOL, keep: int = KEEP, rounds: int | None = None, private: bool = True, source: NoiseSource | None = None, seed: int = 0) -> Clustering:
-    d, ledger = len(cols), BudgetLedger(eps)
+        place = F.row_number().over(Window.partitionBy("run").orderBy(F.desc("rank"), "cand")) - 1
+        rows = scores.withColumn("rank", rank).withColumn("place", place).where(F.col("place") < n).collect()  # runs x keep rows
+        if traces is not None:
+            for i, trace in enumerate(traces):
+                trace.append(-max(x["fit"] for x in rows if x["run"] == i))
+        chosen = [(int(x["run"]), int(x["place"]), [float(v) for v in pools[x["run"], x["cand"]]]) for x in rows]
+        if last:
+            return [np.array(theta) for _, _, theta in sorted(chosen)]
+        parents = spark.createDataFrame(chosen, "run long, place int, theta array<double>")
+        made = sorted((x["run"], x["cand"], x["theta"]) for x in offspring(parents, n, size, dim, 0.5**g, source, f"children-{g}-{eps:.9g}").collect())
+        pools = np.array([theta for *_, theta in made]).reshape(len(starts), size, dim)
+
+
+def evolve_fit(df: DataFrame, fitness, start: np.ndarray, sens: float, eps: float, rounds: int, **options) -> np.ndarray:
+    """One run, for any model whose fitness is bounded."""
+    return evolve_fits(df, fitness, [start], sens, eps, rounds, **options)[0]
+
+
+def evolve_many(df: DataFrame, cols: list[str], k: int, eps: float, n: float, runs: int, pool: int = POOL, keep: int = KEEP, rounds: int | None = None, private: bool = True, source: NoiseSource | None = None, seed: int = 0) -> list[Clustering]:
+    """Repetitions for experiments: one scan a round for all of them.  Each run pays the whole budget."""
+    d, ledger, traces = len(cols), BudgetLedger(eps), [[] for _ in range(runs)]
     rounds = rounds or evolve_rounds(n, eps, keep=keep)
-    trace: list = []
-    theta = evolve_fit(df, lambda t, p: fitness_of_pool(t, cols, p, k), init_pool(pool, k, d, NoiseSource(f"pool-{seed}")), sensitivity.fitness(d), eps, rounds, keep, private, source, ledger if private else None, seed, trace)
-    return Clustering(theta.reshape(k, d).tolist(), path=f"evolve x{rounds}", trace=trace, ledger=ledger, stats={"scans": rounds})
+    starts = [init_pool(pool, k, d, NoiseSource(f"pool-{seed + i}")) for i in range(runs)]
+    found = evolve_fits(df, lambda t, p: fitness_of_pool(t, cols, p, k), starts, sensitivity.fitness(d), eps, rounds, keep, private, source, ledger if private else None, traces)
+    return [Clustering(x.reshape(k, d).tolist(), path=f"evolve x{rounds}", trace=t, ledger=ledger, stats={"scans": rounds}) for x, t in zip(found, traces)]
+
+
+def evolve(df: DataFrame, cols: list[str], k: int, eps: float, n: float, **options) -> Clustering:
+    return evolve_many(df, cols, k, eps, n, 1, **options)[0]

@@ -18,7 +18,8 @@ from dpcluster.functions.noise import NoiseSource
 from dpcluster.functions.privacy import BudgetLedger
 
 THETA = 10.0
-MAX_CELLS = 2_000_000
+#: Boxes up to which a range count broadcasts them; more are joined by slabs.
+MAX_BOXES = 10_000
 
 
 def cells_2d(n: float, eps: float, theta: float = THETA) -> float:
@@ -50,8 +51,8 @@ class GridSpec:
         return math.prod(self.m)
 
 
-def grid_spec(cells: float, d: int, r: float = 1.0, rounding: str = "round", max_cells: int = MAX_CELLS) -> GridSpec:
-    """Intervals of each dimension.  mixed: counts that may differ by one, whose product is nearest to the rule's."""
+def grid_spec(cells: float, d: int, r: float = 1.0, rounding: str = "round", max_cells: int | None = None) -> GridSpec:
+    """Intervals of each dimension, as the rule says; only an explicit max_cells makes them fewer.  mixed: counts that may differ by one, whose product is nearest to the rule's."""
     root, capped = max(cells, 1.0) ** (1 / d), False
     if rounding == "mixed":
         lo = max(1, math.floor(root))
@@ -59,7 +60,7 @@ def grid_spec(cells: float, d: int, r: float = 1.0, rounding: str = "round", max
     else:
         one = {"round": lambda x: math.floor(x + 0.5), "floor": math.floor, "ceil": math.ceil}[rounding](root)
         m = (max(1, one),) * d
-    while math.prod(m) > max_cells and max(m) > 1:
+    while max_cells and math.prod(m) > max_cells and max(m) > 1:
         m, capped = tuple(max(1, x - 1) if x == max(m) else x for x in m), True
     return GridSpec(m, r, cells, capped)
 
@@ -137,19 +138,49 @@ class Synopsis:
         return Synopsis(spark.read.parquet(f"{path}/cells"), GridSpec(tuple(meta["m"]), meta["r"], capped=meta["capped"]), meta["eps"], meta["theta"])
 
 
-def release_grid(df: DataFrame, cols: list[str], eps: float, n: float, theta: float = THETA, rounding: str = "round", max_cells: int = MAX_CELLS, spec: GridSpec | None = None, source: NoiseSource | None = None, ledger: BudgetLedger | None = None, run: int = 0, at: str | None = None, r: float = 1.0) -> Synopsis:
-    """n: the public number of rows (or a noisy one, paid for before).  at: a folder to which the release is written once."""
+def release_grid(df: DataFrame, cols: list[str], eps: float, n: float | None = None, theta: float = THETA, rounding: str = "round", max_cells: int | None = None, spec: GridSpec | None = None, source: NoiseSource | None = None, ledger: BudgetLedger | None = None, run: int = 0, at: str | None = None, r: float = 1.0) -> Synopsis:
+    """n: the public number of rows (or a noisy one, paid for before), which the size rule needs where no spec is given.  at: a folder to which the release is written once."""
     source, ledger = source or NoiseSource.secret(), ledger or BudgetLedger(eps)
     spec = spec or grid_spec(cells_general(n, eps, len(cols), theta), len(cols), r, rounding, max_cells)
     ledger.parallel("cell counts", eps, spec.cells)
-    noisy = all_cells(df, cols, spec).select("cell", (F.col("n_exact") + source.laplace(1 / eps, f"grid-{run}", "cell")).alias("n"), *cell_center("cell", spec))
-    out = Synopsis(noisy, spec, eps, theta, ledger)
+    out = Synopsis(_noisy(all_cells(df, cols, spec), spec, eps, source, run), spec, eps, theta, ledger)
     if at:
         out.save(at)
         out.cells = df.sparkSession.read.parquet(f"{at}/cells")
     return out
 
 
+def noise_step(run: int, eps: float) -> str:
+    """Noise of one run is never drawn again at another scale."""
+    return f"grid-{run}-{eps:.9g}"
+
+
+def _noisy(exact: DataFrame, spec: GridSpec, eps: float, source: NoiseSource, run: int) -> DataFrame:
+    return exact.select("cell", (F.col("n_exact") + source.laplace(1 / eps, noise_step(run, eps), "cell")).alias("n"), *cell_center("cell", spec))
+
+
+class Releases:
+    """Several independent releases of one histogram, which is counted once: for experiments, each run pays the whole budget."""
+
+    def __init__(self, df: DataFrame, cols: list[str], eps: float, n: float, theta: float = THETA, max_cells: int | None = None, source: NoiseSource | None = None, r: float = 1.0):
+        self.eps, self.theta, self.source = eps, theta, source or NoiseSource.secret()
+        self.spec = grid_spec(cells_general(n, eps, len(cols), theta), len(cols), r, max_cells=max_cells)
+        self.exact = cell_counts(df, cols, self.spec).persist()
+
+    def __enter__(self) -> Releases:
+        return self
+
+    def __exit__(self, *_) -> None:
+        self.exact.unpersist()
+
+    def synopsis(self, run: int) -> Synopsis:
+        every = self.exact.sparkSession.range(self.spec.cells).withColumnRenamed("id", "cell")
+        filled = every.join(self.exact, "cell", "left").select("cell", F.coalesce("n_exact", F.lit(0)).alias("n_exact"))
+        ledger = BudgetLedger(self.eps)
+        ledger.parallel("cell counts", self.eps, self.spec.cells)
+        return Synopsis(_noisy(filled, self.spec, self.eps, self.source, run), self.spec, self.eps, self.theta, ledger)
+
+
 def release_many(df: DataFrame, cols: list[str], eps: float, spec: GridSpec, runs: int, source: NoiseSource) -> DataFrame:
     """(run, cell, n, x0..): independent noises on one histogram, so one scan of the data; for experiments."""
     every = all_cells(df, cols, spec).withColumn("run", F.explode(F.sequence(F.lit(0), F.lit(runs - 1))))
@@ -173,11 +204,14 @@ def range_count(synopsis: Synopsis, boxes: DataFrame) -> DataFrame:
     on = touching[0]
     for t in touching[1:]:
         on = on & t
-    return synopsis.cells.join(F.broadcast(boxes), on).groupBy("qid").agg(F.sum(F.col("n") * part).alias("est"))
+    few = boxes.limit(MAX_BOXES + 1).count() <= MAX_BOXES
+    return synopsis.cells.join(F.broadcast(boxes) if few else boxes, on).groupBy("qid").agg(F.sum(F.col("n") * part).alias("est"))
 
 
 def range_count_exact(df: DataFrame, cols: list[str], boxes: DataFrame) -> DataFrame:
-    """Ground truth: a few boxes (a stated query set) against all rows."""
+    """Ground truth: a few boxes (a stated query set) against all rows; many boxes are joined by slabs."""
+    if boxes.limit(MAX_BOXES + 1).count() > MAX_BOXES:
+        return range_count_bucketed(df, cols, boxes, 4096)
     on = F.lit(True)
     for i, c in enumerate(cols):
         on = on & (F.col(c) >= F.col("lo")[i]) & (F.col(c) < F.col("hi")[i])

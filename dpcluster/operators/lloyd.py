@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from dpcluster.operators.centroids import Centroids, as_table
+from dpcluster.operators.centroids import Centroids, as_table, uniform_init
 
 #: Above so many numbers the generated code outgrows what the JIT compiles.
 MAX_LITERALS = 400
@@ -62,9 +62,9 @@ def partial_sums(assigned: DataFrame, cols: list[str], weight: str | None = None
     return assigned.groupBy("cluster").agg(F.sum(w).alias("n"), *(F.sum(w * F.col(x)).alias(f"s{i}") for i, x in enumerate(cols)))
 
 
-def moved(sums: list, centroids: Centroids, min_count: float = 1.0, r: float | None = None) -> Centroids:
-    """Next centroids from rows of sums; a cluster whose count is below min_count keeps its centroid."""
-    out = [list(c) for c in centroids]
+def moved(sums: list, centroids: Centroids, min_count: float = 1.0, r: float | None = None, reseed: Centroids | None = None) -> Centroids:
+    """Next centroids from rows of sums; a cluster whose count is below min_count keeps its centroid, or takes that of ``reseed``."""
+    out = [list(c) for c in reseed or centroids]
     for row in sums:
         if row["n"] is not None and row["n"] >= min_count:
             out[row["cluster"]] = [row[f"s{i}"] / row["n"] for i in range(len(out[0]))]
@@ -91,12 +91,15 @@ class Clustering:
         return as_table(spark, [self.centroids]).drop("run")
 
 
-def lloyd(df: DataFrame, cols: list[str], init: Centroids, max_iter: int = 100, tol: float = 1e-6, weight: str | None = None, r: float | None = None) -> Clustering:
-    """One job a round, k rows to the driver; stops when no centroid moves by more than tol."""
+def lloyd(df: DataFrame, cols: list[str], init: Centroids, max_iter: int = 100, tol: float = 1e-6, weight: str | None = None, r: float | None = None, on_empty: str = "keep", seed: str = "reseed") -> Clustering:
+    """One job a round, k rows to the driver; stops when no centroid moves by more than tol.
+
+    on_empty: a cluster without points keeps its centroid, or with "reseed" gets a keyed uniform one."""
     c, trace = init, [init]
     min_count = 1.0 if weight is None else 1e-9
-    for _ in range(max_iter):
-        new = moved(partial_sums(assign(df, cols, c), cols, weight).collect(), c, min_count, r)
+    for i in range(max_iter):
+        fresh = uniform_init(len(c), len(cols), f"{seed}-{i}", r or 1.0) if on_empty == "reseed" else None
+        new = moved(partial_sums(assign(df, cols, c), cols, weight).collect(), c, min_count, r, fresh)
         trace.append(new)
         stop, c = shift(new, c) < tol, new
         if stop:

@@ -31,8 +31,13 @@ def with_empty(sums: DataFrame, k: int, d: int) -> DataFrame:
     return every.join(sums, "cluster", "left").select("cluster", *(F.coalesce(c, F.lit(0.0)).alias(c) for c in ["n", *(f"s{i}" for i in range(d))]))
 
 
+def noise_step(run: int, round_: int, scale: float) -> str:
+    """Noise of one run and round is never drawn again at another scale."""
+    return f"lloyd-{run}-{round_}-{scale:.9g}"
+
+
 def noisy_sums(sums: DataFrame, d: int, scale: float, source: NoiseSource, round_: int, run: int = 0) -> DataFrame:
-    step = f"lloyd-{run}-{round_}"
+    step = noise_step(run, round_, scale)
     return sums.select("cluster", *((F.col(c) + source.laplace(scale, f"{step}-{c}", "cluster")).alias(c) for c in ["n", *(f"s{i}" for i in range(d))]))
 
 
@@ -57,7 +62,7 @@ def noisy_lloyd_many(df: DataFrame, cols: list[str], inits: list[Centroids], noi
     scale = sensitivity.centroid_update(d, r) * t / eps
     for i in range(t):
         sums = family_sums(df, cols, sets)
-        noisy = sums.select("run", "cluster", *((F.col(c) + source.laplace(scale, f"many-{i}-{c}", "run", "cluster")).alias(c) for c in ["n", *(f"s{q}" for q in range(d))]))
+        noisy = sums.select("run", "cluster", *((F.col(c) + source.laplace(scale, f"many-{i}-{scale:.9g}-{c}", "run", "cluster")).alias(c) for c in ["n", *(f"s{q}" for q in range(d))]))
         by: dict[int, list] = {}
         for row in noisy.collect():  # runs x k rows
             by.setdefault(row["run"], []).append(row)

@@ -10,8 +10,8 @@ from pyspark.sql import DataFrame
 from dpcluster.functions.noise import NoiseSource
 from dpcluster.functions.privacy import BudgetLedger
 from dpcluster.operators.centroids import Centroids, init_sets
-from dpcluster.operators.grid import MAX_CELLS, THETA, cells_general, grid_spec
-from dpcluster.operators.grid_kmeans import grid_kmeans
+from dpcluster.operators.grid import THETA, GridSpec, cells_general, grid_spec
+from dpcluster.operators.grid_kmeans import grid_kmeans, grid_kmeans_many
 from dpcluster.operators.lloyd import Clustering
 from dpcluster.operators.noisy_lloyd import noisy_lloyd, noisy_lloyd_many
 from dpcluster.plans import error_model as em
@@ -54,12 +54,12 @@ def decide(n: float, d: int, k: int, eps: float, t: int = 5, r: float = 1.0, rho
     return Decision(eps, star, t, em.mse_noisy_lloyd(n, d, k, eps, t, r, rho), var, refine, path, why)
 
 
-def two_stage(df: DataFrame, cols: list[str], k: int, eps: float, n: float, rho: float = em.RHO, split: float = 0.5, refine_rounds: int = 1, t: int = 5, force: str | None = None, inits: int | list[Centroids] = 30, source: NoiseSource | None = None, seed: int = 0, theta: float = THETA, max_cells: int = MAX_CELLS, include_bias: bool = False, run: int = 0) -> Clustering:
+def two_stage(df: DataFrame, cols: list[str], k: int, eps: float, n: float, rho: float = em.RHO, split: float = 0.5, refine_rounds: int = 1, t: int = 5, force: str | None = None, inits: int | list[Centroids] = 30, source: NoiseSource | None = None, seed: int = 0, theta: float = THETA, max_cells: int | None = None, include_bias: bool = False, run: int = 0, max_iter: int = 100, spec: GridSpec | None = None) -> Clustering:
     """Without refinement exactly grid_kmeans on the whole budget; with it, grid on split * eps, then noisy rounds on the rest."""
     source, ledger = source or NoiseSource.secret(), BudgetLedger(eps)
     choice = decide(n, len(cols), k, eps, t, rho=rho, theta=theta, max_cells=max_cells, include_bias=include_bias, force=force)
     first = eps if choice.path == "grid" else split * eps
-    out = grid_kmeans(df, cols, k, first, n, inits, source=source, ledger=ledger, seed=seed, run=run, theta=theta, max_cells=max_cells)
+    out = grid_kmeans(df, cols, k, first, n, inits, source=source, ledger=ledger, seed=seed, run=run, theta=theta, max_cells=max_cells, max_iter=max_iter, spec=spec)
     if choice.path == "grid+refine":
         scans = out.stats["scans"] + refine_rounds
         out = noisy_lloyd(df, cols, k, eps - first, refine_rounds, init=out.centroids, source=source, ledger=ledger, run=run)
@@ -68,13 +68,13 @@ def two_stage(df: DataFrame, cols: list[str], k: int, eps: float, n: float, rho:
     return out
 
 
-def two_stage_many(df: DataFrame, cols: list[str], k: int, eps: float, n: float, first: int = 10, second: int = 10, source: NoiseSource | None = None, inits: int = 30, seed: int = 0, force: str | None = None, max_cells: int = MAX_CELLS) -> list[Centroids]:
-    """Repetitions for experiments: refinements of all first stages share one scan."""
+def two_stage_many(df: DataFrame, cols: list[str], k: int, eps: float, n: float, first: int = 10, second: int = 10, source: NoiseSource | None = None, inits: int = 30, seed: int = 0, force: str | None = None, max_cells: int | None = None) -> list[Centroids]:
+    """Repetitions for experiments: one scan for all first stages, and one for all refinements."""
     source = source or NoiseSource()
     choice = decide(n, len(cols), k, eps, max_cells=max_cells, force=force)
     share = eps if choice.path == "grid" else eps / 2
     sets = init_sets(inits, k, len(cols), seed)
-    starts = [grid_kmeans(df, cols, k, share, n, sets, source=source, run=i, max_cells=max_cells).centroids for i in range(first)]
+    starts = grid_kmeans_many(df, cols, share, n, sets, first, source, max_cells=max_cells)
     return starts if choice.path == "grid" else noisy_lloyd_many(df, cols, starts, second, eps - share, 1, source=source)
 
 

@@ -16,7 +16,7 @@ from dpcluster.operators import block_average as blocks
 from dpcluster.operators import evolve as ev
 from dpcluster.operators.centroids import init_sets
 from dpcluster.operators.grid import grid_spec, cells_general, range_count, range_count_exact, release_grid, fixed_boxes, GridSpec
-from dpcluster.operators.grid_kmeans import grid_kmeans
+from dpcluster.operators.grid_kmeans import grid_kmeans_many
 from dpcluster.operators.lloyd import best_of, lloyd_many, nicv, nicv_many
 from dpcluster.operators.noisy_lloyd import noisy_lloyd_many
 from dpcluster.operators.two_stage import two_stage_many
@@ -35,11 +35,12 @@ class Protocol:
     noises: int = 100
     repeats: int = 100
     synopses: int = 10
-    max_cells: int = 2_000_000
+    max_cells: int | None = None
+    pool: int = 200
 
     @staticmethod
     def quick() -> Protocol:
-        return Protocol(3, 3, 2, 2, 100_000)
+        return Protocol(3, 3, 2, 2)
 
 
 METHODS = ("noisy_lloyd", "evolve", "block_average", "block_3k", "grid_kmeans", "two_stage")
@@ -51,11 +52,11 @@ def runs(df: DataFrame, cols: list[str], k: int, n: int, eps: float, method: str
     if method == "noisy_lloyd":
         return [(5, c) for c in noisy_lloyd_many(df, cols, sets, p.noises, eps, source=src(0))]
     if method == "grid_kmeans":
-        return [(1, grid_kmeans(df, cols, k, eps, n, sets, source=src(i), run=i, theta=theta, max_cells=p.max_cells).centroids) for i in range(p.synopses)]
+        return [(1, c) for c in grid_kmeans_many(df, cols, eps, n, sets, p.synopses, src(0), theta=theta, max_cells=p.max_cells)]
     if method in ("two_stage", "refine"):
         return [(2, c) for c in two_stage_many(df, cols, k, eps, n, p.synopses, p.synopses, src(0), p.inits, seed, "refine" if method == "refine" else None, p.max_cells)]
     if method == "evolve":
-        return [(8, ev.evolve(df, cols, k, eps, n, source=src(i), seed=i).centroids) for i in range(p.repeats)]
+        return [(c.stats["scans"], c.centroids) for c in ev.evolve_many(df, cols, k, eps, n, p.repeats, p.pool, source=src(0), seed=seed)]
     return [(2, blocks.block_average(df, cols, k, eps, n, "3k" if method == "block_3k" else "power", source=src(i), seed=i).centroids) for i in range(p.repeats)]
 
 

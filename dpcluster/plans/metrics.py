@@ -12,7 +12,7 @@ RESULT = "dataset string, method string, eps double, init int, noise_run int, ni
 
 def summarize(results: DataFrame) -> DataFrame:
     """Means over repetitions, with spread."""
-    return results.groupBy("dataset", "method", "eps").agg(F.avg("nicv").alias("nicv"), F.stddev_samp("nicv").alias("sd"), (F.stddev_samp("nicv") / F.sqrt(F.count("*"))).alias("se"), F.count("*").alias("runs"))
+    return results.groupBy("dataset", "method", "eps").agg(F.avg("nicv").alias("nicv"), F.stddev_samp("nicv").alias("sd"), (F.stddev_samp("nicv") / F.sqrt(F.count("*"))).alias("se"), F.count("*").alias("runs"), *([F.avg("seconds").alias("seconds")] if "seconds" in results.columns else []))
 
 
 def nicv_gap(results: DataFrame, baseline: str = "baseline") -> DataFrame:
@@ -26,6 +26,17 @@ def mse_parts(df: DataFrame, est: str, act: str) -> DataFrame:
     return df.agg(F.avg(e * e).alias("mse"), F.var_pop(e).alias("variance"), (F.avg(e) * F.avg(e)).alias("bias2"))
 
 
+def centroid_mse_empirical(spark, s: list[float], c: float, scale: float, draws: int = 2000, source=None) -> DataFrame:
+    """The mean squared error of noisy sums over a noisy count, by simulation: what the first-order form approximates."""
+    from dpcluster.functions.noise import NoiseSource
+
+    source, error = source or NoiseSource("centroid-mse"), F.lit(0.0)
+    n = F.lit(float(c)) + source.laplace(scale, "count", "id")
+    for i, x in enumerate(s):
+        error = error + F.pow((F.lit(float(x)) + source.laplace(scale, f"sum-{i}", "id")) / n - x / c, 2)
+    return spark.range(draws).select(error.alias("e")).agg(F.avg("e").alias("mse"))
+
+
 def iterations_to(trace: DataFrame, base: float, tolerance: float = 0.01) -> DataFrame:
     """First iteration of each run that is within the tolerance of a baseline."""
     return trace.where(F.col("nicv") <= base * (1 + tolerance)).groupBy("run").agg(F.min("iteration").alias("iteration"))

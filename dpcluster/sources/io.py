@@ -1,4 +1,8 @@
-"""Readers and writers with declared schemas, and round trips through each format."""
+"""Readers and writers with declared schemas, and round trips through each format.
+
+Databases and queues need no code here: Spark's own ``jdbc`` source (partitionColumn, lowerBound,
+upperBound, numPartitions) and ``kafka`` source give the same DataFrames, where their jars are there.
+"""
 
 from __future__ import annotations
 
@@ -7,14 +11,27 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-FORMATS = ("parquet", "csv", "json", "orc")
+from dpcluster.operators.centroids import as_table
+
+FORMATS = ("parquet", "csv", "json", "orc", "text")
 
 
 def shared_folder(spark: SparkSession) -> str:
-    folder = spark.conf.get("spark.checkpoint.dir", None)
+    """The folder that all executors see; only a session on one machine may do without a setting."""
+    folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not folder and not spark.sparkContext.master.startswith("local["):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     return f"{folder.rstrip('/') if folder else 'file://' + tempfile.gettempdir()}/dpcluster-core"
 
 
+def save_centroids(spark: SparkSession, path: str, centroids) -> None:
+    as_table(spark, [centroids]).coalesce(1).write.mode("overwrite").parquet(path)
+
+
+def load_centroids(spark: SparkSession, path: str) -> DataFrame:
+    return spark.read.schema("run long, j int, c array<double>").parquet(path)
+
+
 def write(df: DataFrame, path: str, kind: str = "parquet", **options) -> None:
     if kind not in FORMATS:
         raise ValueError(f"one of {FORMATS}")

@@ -59,13 +59,14 @@ class Workload:
             return line.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).join(customer, F.col("o_custkey") == F.col("c_custkey")).join(part, F.col("l_partkey") == F.col("p_partkey"))
         return table(spark, sf_dir, self.sql_from)
 
-    def points(self, spark: SparkSession, sf_dir: str) -> DataFrame:
-        df = self.source(spark, sf_dir).select(*(F.expr(e[0]).cast("double").alias(f"f{i}") for i, (e, _, _) in enumerate(self.features)))
-        return normalize(df.dropDuplicates() if self.distinct else df, self.domain)
+    def points(self, spark: SparkSession, sf_dir: str, keep: tuple[str, ...] = ()) -> DataFrame:
+        """keep: columns beside the points, such as the key of a row."""
+        df = self.source(spark, sf_dir).select(*keep, *(F.expr(e[0]).cast("double").alias(f"f{i}") for i, (e, _, _) in enumerate(self.features)))
+        return normalize(df.dropDuplicates() if self.distinct else df, self.domain, keep)
 
-    def points_sql(self) -> str:
-        rows = f"SELECT {'DISTINCT ' if self.distinct else ''}{', '.join(f'CAST({e[1]} AS DOUBLE) AS f{i}' for i, (e, _, _) in enumerate(self.features))} FROM {self.sql_from}"
-        return f"SELECT {normalize_sql([f'f{i}' for i in range(self.d)], self.domain)} FROM ({rows}) raw"
+    def points_sql(self, keep: str = "") -> str:
+        rows = f"SELECT {'DISTINCT ' if self.distinct else ''}{keep + ', ' if keep else ''}{', '.join(f'CAST({e[1]} AS DOUBLE) AS f{i}' for i, (e, _, _) in enumerate(self.features))} FROM {self.sql_from}"
+        return f"SELECT {keep + ', ' if keep else ''}{normalize_sql([f'f{i}' for i in range(self.d)], self.domain)} FROM ({rows}) raw"
 
 
 _TEXT = [(("ln(1 + n_chars)",) * 2, 0, 12), (("n_chars / (1.0 + length(text) - length(replace(text, ' ', '')))",) * 2, 0, 20), (("(length(text) - length(regexp_replace(text, '[0-9]', '')))  / (1.0 + length(text))", "(length(text) - length(regexp_replace(text, '[0-9]', '', 'g')))  / (1.0 + length(text))"), 0, 1)]
@@ -90,6 +91,12 @@ def hash_sample(df: DataFrame, percent: int, *keys: str) -> DataFrame:
     return df.where(F.conv(F.substring(F.md5(F.concat_ws("|", *(F.col(k).cast("string") for k in keys)).cast("binary")), 1, 8), 16, 10).cast("bigint") % 100 < percent)
 
 
+def stratified_sample(df: DataFrame, stratum: str, percents: dict, rest: int, *keys: str) -> DataFrame:
+    """As hash_sample, with a share for each value of a column."""
+    share = F.coalesce(*(F.when(F.col(stratum) == v, p) for v, p in percents.items()), F.lit(rest))
+    return df.where(F.conv(F.substring(F.md5(F.concat_ws("|", *(F.col(k).cast("string") for k in keys)).cast("binary")), 1, 8), 16, 10).cast("bigint") % 100 < share)
+
+
 def gaussian_clusters(spark: SparkSession, n: int, d: int, k: int, sigma: float = 0.08, seed: int = 0, r: float = 1.0) -> DataFrame:
     """n points in k equal clusters around packed centres, from keyed noise; id and cluster beside the coordinates."""
     centres, src = packed_init(k, d, seed, r, tries=100, rounds=14)[0], NoiseSource(f"gauss-{seed}")

@@ -14,8 +14,8 @@ from dpcluster.operators import block_average as blocks
 from dpcluster.operators import grid as g
 from dpcluster.operators.centroids import init_sets, packed_init, uniform_init
 from dpcluster.operators.estimator import PrivateKMeans
-from dpcluster.operators.evolve import children, evolve
-from dpcluster.operators.grid_kmeans import cluster_synopsis, grid_kmeans, lloyd_on_arrays
+from dpcluster.operators.evolve import evolve, evolve_many, offspring
+from dpcluster.operators.grid_kmeans import cluster_synopsis, grid_kmeans, grid_kmeans_many, lloyd_on_arrays
 from dpcluster.operators.lloyd import assign, best_of, lloyd, lloyd_many, nicv, nicv_many, partial_sums
 from dpcluster.operators.noisy_lloyd import noisy_lloyd, noisy_lloyd_many, shares
 from dpcluster.operators.two_stage import decide, two_stage
@@ -239,11 +239,23 @@ def test_low_dimensions_favour_the_synopsis(clusters):
 
 
 def test_high_dimensions_favour_noisy_rounds(spark):
-    df = gaussian_clusters(spark, 10_000, 8, 3, 0.08, 5).select(*(f"x{i}" for i in range(8))).persist()
-    cols, inits = [f"x{i}" for i in range(8)], init_sets(5, 3, 8)
-    lloyd_ = mean_nicv(df, cols, noisy_lloyd_many(df, cols, init_sets(30, 3, 8), 2, 1.0, source=SRC))
-    grid_ = mean_nicv(df, cols, [grid_kmeans(df, cols, 3, 1.0, 10_000, inits, source=SRC, run=i).centroids for i in range(2)])
-    assert lloyd_ < grid_
+    """Gaps to the baseline over the heat map's cells of eight dimensions and more, with the published starts for both methods.
+
+    A start that ends in a local optimum costs noisy rounds as much as plain ones, since all starts count, while the
+    synopsis picks the best; so single cells with three clusters can go the other way, and what the noise costs is seen
+    in the median."""
+    gaps, medians = {"noisy": [], "grid": []}, []
+    for d, k in ((8, 2), (8, 3), (10, 2), (10, 3)):
+        cols, inits = [f"x{i}" for i in range(d)], init_sets(30, k, d)
+        df = gaussian_clusters(spark, 10_000, d, k, 0.08, 100 * d + k).select(*cols).persist()
+        base = best_of(df, cols, inits[:8])[1]
+        noisy = nicv_many(df, cols, noisy_lloyd_many(df, cols, inits, 1, 1.0, source=SRC))
+        grid = mean_nicv(df, cols, grid_kmeans_many(df, cols, 1.0, 10_000, inits, 1, SRC))
+        gaps["noisy"].append(np.mean(noisy) - base)
+        gaps["grid"].append(grid - base)
+        medians.append(np.median(noisy) - base)
+        df.unpersist()
+    assert np.mean(gaps["noisy"]) < np.mean(gaps["grid"]) and all(m < g_ for m, g_ in zip(medians, gaps["grid"])), (gaps, medians)
 
 
 def test_small_blocks_are_better_and_clipping_helps(clusters):
@@ -263,7 +275,45 @@ def test_evolution_needs_more_rounds(clusters):
     cols = ["x0", "x1"]
     got = evolve(clusters, cols, 5, 1.0, 10_000, pool=60, rounds=12, private=False)
     assert got.trace[-1] <= got.trace[0] and lloyd(clusters, cols, packed_init(5, 2)[0]).stats["scans"] < 30
-    assert children(np.array([[0.0, 0.0, 0.0, 0.0]]), 7, 0.5, np.random.default_rng(0)).shape == (7, 4)
+    one = clusters.sparkSession.createDataFrame([(0, 0, [0.0] * 4)], "run long, place int, theta array<double>")
+    assert offspring(one, 1, 7, 4, 0.5, SRC, "t").count() == 7
+
+
+def test_runs_of_evolution_share_scans(clusters):
+    """Many runs at once are the runs one by one."""
+    cols = ["x0", "x1"]
+    many = evolve_many(clusters, cols, 3, 1.0, 10_000, 2, pool=20, rounds=2, source=SRC)
+    assert many[0].centroids == evolve(clusters, cols, 3, 1.0, 10_000, pool=20, rounds=2, source=SRC).centroids and many[0].centroids != many[1].centroids
+
+
+def test_tiny_blocks_average_to_the_true_centre():
+    """With one cluster in each half, blocks of two rows give one member each, whose mean is the centre."""
+    rng = np.random.default_rng(3)
+    x = np.concatenate([rng.normal(-0.5, 0.1, (3000, 1)), rng.normal(0.5, 0.1, (3000, 1))])
+    got = []
+    for b in range(3000):
+        pair = x[[b, 3000 + b]]
+        got.append(np.sort(blocks.lloyd_block(pair, pair), axis=0))
+    assert np.allclose(np.mean(got, axis=0).ravel(), [-0.5, 0.5], atol=0.01)
+
+
+def test_synopsis_loops_agree_on_the_driver_and_in_jobs(clusters):
+    syn = g.release_grid(clusters, ["x0", "x1"], 0.5, 10_000, source=SRC)
+    sets = init_sets(3, 5, 2)
+    here, there = (cluster_synopsis(syn, sets, max_iter=12, driver_numbers=n) for n in (None, 0))
+    assert np.allclose(here[0], there[0], atol=1e-6) and here[1] == pytest.approx(there[1], abs=1e-9)
+
+
+def test_empty_clusters_can_be_seeded_again(clusters):
+    far = [[0.0, 0.0], [9.0, 9.0]]
+    kept = lloyd(clusters, ["x0", "x1"], far, 1).centroids
+    fresh = lloyd(clusters, ["x0", "x1"], far, 1, on_empty="reseed").centroids
+    assert kept[1] == [9.0, 9.0] and max(map(abs, fresh[1])) <= 1 and kept[0] == fresh[0]
+
+
+def test_sizes_follow_the_rule_without_a_cap():
+    assert g.grid_spec(92e6, 10).capped is False and g.grid_spec(92e6, 10).m == (6,) * 10
+    assert decide(1e12, 2, 2, 1.0).path == "grid+refine"
 
 
 # --- reuse, planning surface, streams ----------------------------------------------------------------
@@ -371,7 +421,6 @@ def test_two_stage_queries_have_the_planner_s_own_grid_and_starts(spark, small,
     import inspect
 
     from dpcluster import catalog, catalog_methods as m
-    from dpcluster.operators.grid import MAX_CELLS
 
     class Seen(Exception):
         pass
@@ -385,4 +434,4 @@ def test_two_stage_queries_have_the_planner_s_own_grid_and_starts(spark, small,
     monkeypatch.setattr(m, "two_stage", see)
     with pytest.raises(Seen) as seen:
         catalog.queries()[name](spark, small)
-    assert seen.value.args == (30, MAX_CELLS, True)
+    assert seen.value.args == (30, None, True)
