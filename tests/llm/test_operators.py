@@ -207,15 +207,152 @@ def test_scores_beat_the_base_on_held_out_texts(spark):
     assert got[0] > got[1]
 
 
+def small_code(rng, sizes=(5, 0, 3, 1, 13)):
+    n_words = np.zeros(1 << bit_mixing.CLASS_BITS, np.int64)
+    n_words[: len(sizes)] = sizes
+    code = bit_mixing.Code(n_words, n_words * np.arange(1, len(n_words) + 1), np.zeros(1 << 16, np.float32))
+    cls = np.repeat(np.arange(len(sizes)), sizes).astype(np.uint8)
+    number = np.concatenate([np.arange(n) for n in sizes])
+    return code, cls, code.codes(cls, number)
+
+
 def test_word_probabilities_add_up():
-    """Over all bytes that may come next, the bits of a byte share one."""
-    items = [bytes([b]) for b in range(1, 256) if b != 32]
-    counts = np.random.default_rng(0).integers(0, 5, (2, int(bit_mixing._BASES[-1]))).astype(np.float32)
-    word, bit, place, slots = bit_mixing.bit_rows([*items, b" x", b""])
-    z = bit_mixing.mixed(bit_mixing.start_weights(), *bit_mixing.inputs(counts, slots, place))
-    p = 1 / (1 + np.exp(-np.where(bit, z, -z).astype(float)))
-    first = np.array([p[np.flatnonzero(word == i)[:8]].prod() for i in range(len(items) + 2)])
-    assert first.sum() == pytest.approx(1, abs=1e-6)
+    """Over all words that may come next, whatever the contexts say; so no gate sees the bit that it codes."""
+    rng = np.random.default_rng(0)
+    code, cls, codes = small_code(rng)
+    assert len(np.unique(codes)) == len(codes)
+    w = rng.normal(0.4, 0.3, bit_mixing.start_weights().shape)
+    for _ in range(20):
+        following = []
+        for k in bit_mixing.FOLLOWERS:
+            mine = rng.choice(len(codes), k, replace=False)
+            counts = rng.integers(0, 30, k)
+            following.append(([np.full(len(codes), codes[i]) for i in mine], [np.full(len(codes), c) for c in counts]))
+        last = np.full(len(codes), int(codes[rng.integers(len(codes))]) if rng.random() < 0.7 else -1)
+        by = np.argsort(-code.bits[cls], kind="stable")
+        predictor = bit_mixing.Predictor(code, codes[by], cls[by], following, last, np.full(len(codes), bool(rng.integers(2))))
+        cost = np.zeros(len(codes))
+        for m, bit, x, gate, certain in predictor.steps():
+            z = bit_mixing.mixed(w, x, gate)
+            now = np.logaddexp(0, np.where(bit, -z, z))
+            cost[:m] += now if certain is None else np.where(certain, 0, now)
+        assert np.exp(-cost).sum() == pytest.approx(1, abs=1e-4)  # but for classes without words, whose logits are bounded
+
+
+class BruteModel:
+    """The same model with dictionaries, a token and a bit at a time."""
+
+    def __init__(self, data):
+        self.docs = [(d, zlib.crc32(str(d).encode()) % 5 == 1 if d is not None else False, [*WORD.findall(lower(t)), ""]) for d, t in data]
+        train = Counter(w for _, held, ws in self.docs if not held for w in ws)
+        self.train, self.n = train, sum(train.values())
+        self.cls = {w: min(63, math.floor(2 * math.log2(c) + 1e-9)) for w, c in train.items()}
+        by = sorted(train, key=lambda w: (self.cls[w], w.encode()))
+        first, self.size, self.mass = {}, Counter(self.cls.values()), Counter()
+        for i, w in enumerate(by):
+            first.setdefault(self.cls[w], i)
+        for w, c in train.items():
+            self.mass[self.cls[w]] += c
+        self.width = {k: max(0, n - 1).bit_length() for k, n in self.size.items()}
+        self.bits = {w: f"{self.cls[w]:06b}" + (f"{i - first[self.cls[w]]:0{self.width[self.cls[w]]}b}" if self.width[self.cls[w]] else "") for i, w in enumerate(by)}
+        room = max(self.width.values(), default=0)
+        self.code = {w: int(b.ljust(6 + room, "0"), 2) for w, b in self.bits.items()}
+        self.after = [{}, {}]
+        for _, held, ws in self.docs:
+            for t, w in enumerate(ws):
+                if not held:
+                    for o in (0, 1):
+                        self.after[o].setdefault(self.context(ws, t, o), Counter())[w] += 1
+
+    def context(self, ws, t, o):
+        return (ws[t - 1] if t else None,) if o == 0 else (ws[t - 1] if t else None, ws[t - 2] if t > 1 else None)
+
+    def top(self, ws, t, o, own):
+        seen = sorted(self.after[o].get(self.context(ws, t, o), {}).items(), key=lambda x: (-x[1], self.code[x[0]]))[: bit_mixing.FOLLOWERS[o]]
+        return [(self.bits[w], c - (own and w == ws[t])) for w, c in seen if c - (own and w == ws[t]) > 0]
+
+    def last(self, ws, t):
+        for s in range(t - 1, -1, -1):
+            if self.context(ws, s, 0) == self.context(ws, t, 0):
+                return ws[s] if ws[s] in self.train else None
+
+    def steps(self, ws, t, own):
+        w, prefix = ws[t], ""
+        tops, last = [self.top(ws, t, o, own) for o in (0, 1)], self.last(ws, t)
+        again = t > 0 and self.last(ws, t - 1) is not None and self.last(ws, t - 1) == ws[t - 1]
+        last = self.bits[last] if last is not None else None
+        for d, b in enumerate(self.bits[w]):
+            x, gate, above = [0.0] * 4, [0] * 4, 0
+            if d < 6:
+                mass = [sum(c for k, c in self.mass.items() if f"{k:06b}".startswith(prefix + y)) for y in "01"]
+                x[0], skip = math.log(mass[1] + 1e-9) - math.log(mass[0] + 1e-9), False
+            else:
+                k, rest = self.cls[w], prefix[6:]
+                n = [sum(1 for i in range(self.size[k]) if f"{i:0{self.width[k]}b}".startswith(rest + y)) for y in "01"]
+                x[0], skip = math.log(max(n[1], 1)) - math.log(n[0]), n[1] == 0
+            agrees = last is not None and last.startswith(prefix) and len(last) >= len(prefix)
+            guess = last.ljust(40, "0")[d] if last is not None else "0"
+            agrees = last is not None and last.ljust(40, "0")[:d] == prefix
+            x[3] = (3.0 if guess == "1" else -3.0) if agrees else 0.0
+            for o in (1, 0):
+                n = [sum(c for y, c in tops[o] if y.ljust(40, "0").startswith(prefix + v)) for v in "01"]
+                total = sum(n)
+                x[o + 1] = math.log(n[1] + 0.05) - math.log(n[0] + 0.05)
+                level = min(5, 1 + math.floor(math.log2(total))) if total else 0
+                gate[o + 1] = (level * 2 + (min(n) == 0)) * 4 + above
+                above = max(above, 3 if total >= 16 else 2 if total >= 4 else 1 if total else 0)
+            gate[0], gate[3] = above * 2 + (d >= 6), (agrees * 2 + again) * 4 + above
+            yield b == "1", x, gate, skip
+            prefix += b
+
+    def weights(self):
+        w = bit_mixing.start_weights()
+        total = np.zeros((2, *w.shape))
+        for _, held, ws in self.docs:
+            for t in range(len(ws)) if not held else ():
+                for bit, x, gate, skip in self.steps(ws, t, True):
+                    if not skip:
+                        p = 1 / (1 + math.exp(-sum(w[i][g] * v for i, (g, v) in enumerate(zip(gate, x)))))
+                        for i, (g, v) in enumerate(zip(gate, x)):
+                            total[0, i, g] += (bit - p) * v
+                            total[1, i, g] += p * (1 - p) * abs(v) * sum(map(abs, x))
+        return bit_mixing.stepped(total)
+
+    def scores(self):
+        w, once = self.weights(), sum(c == 1 for c in self.train.values())
+        share = min(max(once / self.n, 1e-6), 0.9) if self.n else 0.9
+        for d, _, ws in self.docs:
+            score, unseen = 0.0, 0
+            for t, word in enumerate(ws):
+                p = (20 * share + unseen) / (20 + t)
+                if word not in self.train:
+                    score, unseen = score + math.log10(p), unseen + 1
+                    continue
+                score += math.log10(1 - p)
+                for bit, x, gate, skip in self.steps(ws, t, False):
+                    if not skip:
+                        z = sum(w[i][g] * v for i, (g, v) in enumerate(zip(gate, x)))
+                        score -= math.log10(1 + math.exp(-z if bit else z))
+            yield d, score
+
+
+def test_scores_are_those_of_the_model_by_hand(spark, docs, messy):
+    some = docs.where(F.length("text") < 900).select("doc_id", "text").orderBy("doc_id").limit(14).unionByName(messy.where("doc_id <> 5 or doc_id is null").select("doc_id", "text")).persist()
+    want = sorted((str(d), round(x, 2)) for d, x in BruteModel(texts(some)).scores())
+    for blocks, entries in ((bit_mixing.BLOCK_CHARS, bit_mixing.SLICE_ENTRIES), (4000, 300)):
+        got = sorted((str(d), round(x, 2)) for d, x in rows(bit_mixing.score(some, blocks, entries), "doc_id", "score"))
+        assert [d for d, _ in got] == [d for d, _ in want] and np.allclose([x for _, x in got], [x for _, x in want], rtol=2e-4, atol=0.03)
+
+
+def test_scores_do_not_depend_on_partitions(spark, docs):
+    one = dict(rows(bit_mixing.score(docs), "doc_id", "score"))
+    two = dict(rows(bit_mixing.score(docs.repartition(9), 30_000, 20_000), "doc_id", "score"))
+    assert one.keys() == two.keys() and all(one[d] == pytest.approx(two[d], rel=1e-6) for d in one)
+
+
+def test_training_texts_score_above_the_base(spark, docs):
+    got = bit_mixing.score(docs).groupBy("held_out").agg(F.sum("score").alias("a"), F.sum("base_score").alias("b")).collect()
+    assert len(got) == 2 and all(r["a"] > r["b"] for r in got)
 
 
 def test_scores_depend_on_the_order_of_words(spark):
@@ -227,32 +364,11 @@ def test_scores_depend_on_the_order_of_words(spark):
     assert got[held[0]]["score"] > got[held[1]]["score"] + 5
 
 
-def test_contexts_cross_words_and_share_no_counts():
-    rng = np.random.default_rng(3)
-    items = [bytes(rng.integers(97, 123, rng.integers(3, 12)).astype(np.uint8)) for _ in range(30_000)]
-    left = bit_mixing.lefts([*items[1:], b""])
-    assert bit_mixing.lefts([b"i", b"a", b"of", b"the", b""]) == [b"", b"i", b"i a", b" of", b"the"]
-    word, _, _, slots = bit_mixing.bit_rows(items, left)
-    text = lambda i, j: left[i] + b" " * bool(left[i]) + (items[i] + b" ")[:j]
-    sees = {99: lambda i, j: items[i][:j], 100: lambda i, j: (left[i], items[i][:j]), **{n: lambda i, j, n=n: text(i, j)[-n:] for n in (1, 2, 3, 4)}}
-    assert {x if isinstance(x, int) else x[0] for x in bit_mixing.CONTEXTS} == set(sees)
-    for context, got in zip(bit_mixing.CONTEXTS, slots):
-        nodes = set()
-        for i, x in enumerate(items):
-            for j, b in enumerate(x + b" "):
-                seen = sees[context](i, j)
-                nodes.update((seen, (b | 256) >> s) for s in range(1, 9))
-        assert len(np.unique(got)) == len(nodes)
-
-
-def test_sums_of_keys_over_chunks(spark):
-    """Counts of a context's next bits, gathered in slices, are those of one dictionary."""
-    key = np.sort(np.random.default_rng(1).integers(0, 40, 60).astype(np.uint64))
-    key = np.unique(key << np.uint64(8) | np.random.default_rng(2).integers(0, 256, 60).astype(np.uint64))
-    count = np.arange(1, len(key) + 1).astype(np.uint64)
-    got = bit_mixing.levels(key, count)
-    for b in range(9):
-        assert got[b].tolist() == [sum(int(c) for k, c in zip(key, count) if k >> np.uint64(8 - b) == x >> np.uint64(8 - b)) for x in key]
+def test_followers():
+    context, code, count = (np.array(x, np.uint64) for x in ([1, 1, 1, 4, 9, 9], [3, 5, 8, 2, 1, 7], [2, 9, 2, 0, 1, 1]))
+    got = bit_mixing.followers(context, code, count.astype(np.int64), 2)
+    assert got[0].tolist() == [1, 4, 9] and got[1].tolist() == [13, 0, 2]
+    assert got[2].T.tolist() == [[5, 3], [0, 0], [1, 7]] and got[3].T.tolist() == [[9, 2], [0, 0], [1, 1]]
 
 
 # --- 6: quality --------------------------------------------------------------------------------------
