@@ -229,14 +229,9 @@ def test_word_probabilities_add_up():
             counts = rng.integers(0, 30, k)
             following.append(([np.full(len(codes), codes[i]) for i in mine], [np.full(len(codes), c) for c in counts]))
         last = np.full(len(codes), int(codes[rng.integers(len(codes))]) if rng.random() < 0.7 else -1)
-        by = np.argsort(-code.bits[cls], kind="stable")
-        predictor = bit_mixing.Predictor(code, codes[by], cls[by], following, last, np.full(len(codes), bool(rng.integers(2))))
-        cost = np.zeros(len(codes))
-        for m, bit, x, gate, certain in predictor.steps():
-            z = bit_mixing.mixed(w, x, gate)
-            now = np.logaddexp(0, np.where(bit, -z, z))
-            cost[:m] += now if certain is None else np.where(certain, 0, now)
-        assert np.exp(-cost).sum() == pytest.approx(1, abs=1e-4)  # but for classes without words, whose logits are bounded
+        predictor = bit_mixing.Predictor(code, codes, cls, following, last, np.full(len(codes), bool(rng.integers(2))))
+        # but for classes without words, whose logits are bounded
+        assert np.exp(-bit_mixing.costs(predictor, w)).sum() == pytest.approx(1, abs=1e-4)
 
 
 class BruteModel:
@@ -247,7 +242,7 @@ class BruteModel:
         train = Counter(w for _, held, ws in self.docs if not held for w in ws)
         self.train, self.n = train, sum(train.values())
         self.cls = {w: min(63, math.floor(2 * math.log2(c) + 1e-9)) for w, c in train.items()}
-        by = sorted(train, key=lambda w: (self.cls[w], w.encode()))
+        by = sorted(train, key=lambda w: (self.cls[w], bit_mixing.word_hash(w.encode())))
         first, self.size, self.mass = {}, Counter(self.cls.values()), Counter()
         for i, w in enumerate(by):
             first.setdefault(self.cls[w], i)
