@@ -237,6 +237,8 @@ def components(edges: DataFrame, tables: Scratch, name: str) -> DataFrame:
         if seen == before:
             break
         before = seen
+    else:
+        raise RuntimeError("the contraction of links did not end")
     return now.select(F.col("u").alias("node"), F.col("v").alias("component"))
 
 
@@ -322,12 +324,24 @@ def _verified(source: DataFrame, found: DataFrame, tables: Scratch, plan: Plan,
 
 
 def keep_first(docs: DataFrame, n: int = 5, percent: int = 80, **options) -> DataFrame:
-    """One document of each group: the one with the smallest id, and one row of it."""
-    told = groups(docs, n, percent, **options)
-    gone = told.where("doc_id <> component_id").select(F.col("doc_id").alias("__doc")).distinct()
-    kept = docs.join(gone, F.col("doc_id") == F.col("__doc"), "left_anti")
-    again = told.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").select(F.col("doc_id").alias("__doc"))
-    if again.isEmpty():
-        return kept
-    once = kept.join(again, F.col("doc_id") == F.col("__doc"), "left_anti")
-    return once.unionAll(kept.join(again, F.col("doc_id") == F.col("__doc"), "left_semi").dropDuplicates(["doc_id"]))
+    """One document of each group: the one with the smallest id, and one row of it.
+
+    Where ids are missing or shared by several rows, rows are told apart by id and text: of each group the
+    row with the smallest id stays (missing ids last, then by a hash of the text); rows without words stay all."""
+    tables = Scratch(docs.sparkSession, "keep-first")
+    told_of = lambda df: tables.write(groups(df, n, percent, **options), "groups")
+    unclear = docs.groupBy(F.col("doc_id").cast("long").alias("doc_id")).count().where("count > 1 or doc_id is null")
+    if unclear.isEmpty():
+        gone = told_of(docs).where("doc_id <> component_id").select(F.col("doc_id").alias("__doc"))
+        return docs.join(gone, F.col("doc_id") == F.col("__doc"), "left_anti")
+    keyed = docs.withColumn("__key", F.xxhash64(F.col("doc_id").cast("long"), "text"))
+    told = told_of(keyed.select(F.col("__key").alias("doc_id"), "text")).where("n_shingles > 0")
+    ids = keyed.select(F.col("__key").alias("doc_id"), F.struct(F.col("doc_id").isNull(), F.col("doc_id").cast("long"), "__key").alias("at"))
+    first = told.distinct().join(ids.distinct(), "doc_id").groupBy("component_id").agg(F.min("at").alias("at")).select(F.col("at.__key").alias("doc_id")).withColumn("first", F.lit(True))
+    marks = told.groupBy("doc_id").agg(F.count("*").alias("rows")).join(first, "doc_id", "left").select(F.col("doc_id").alias("__doc"), "rows", F.coalesce("first", F.lit(False)).alias("first"))
+    marks = tables.write(marks, "marks")
+    kept = keyed.join(marks.where("not first"), F.col("__key") == F.col("__doc"), "left_anti")
+    several = tables.read("marks", marks.schema).where("first and rows > 1")
+    once = kept.join(several, F.col("__key") == F.col("__doc"), "left_anti")
+    again = kept.join(several, F.col("__key") == F.col("__doc"), "left_semi").dropDuplicates(["__key"])
+    return once.unionAll(again).select(*docs.columns)

@@ -133,6 +133,22 @@ def classify(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     return source.mapInArrow(_scorer(model, model.accept), "doc_id long, held_out boolean, score double, predicted int")
 
 
+def with_scores(docs: DataFrame, labels: DataFrame, column: str = "quality", **options) -> DataFrame:
+    """The documents with their score beside the other columns."""
+    from pyspark.sql.types import DoubleType, StructField, StructType
+
+    model = learn(docs, labels, **options)
+
+    def run(batches):
+        forget()
+        for batch in small_batches(batches):
+            texts = batch.column("text").cast(pa.binary()).to_pylist()
+            x = np.stack([features(t or b"") for t in texts]) if texts else np.zeros((0, N_FEATURES), np.float32)
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(model.scores(x), pa.float64())], names=[*batch.schema.names, column])
+
+    return docs.mapInArrow(run, StructType([*docs.schema.fields, StructField(column, DoubleType())]))
+
+
 def accepted(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     """The documents that are not rejected, with their columns as they were."""
     model = learn(docs, labels, **options)

@@ -19,7 +19,9 @@ def op1_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.mix(_table(spark, sf_dir, "documents"), quality=F.col("n_chars") / (F.col("n_chars") + 200.0))
+    """Weights of documents are the scores of the quality classifier."""
+    scored = quality.with_scores(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"), "__quality")
+    return mixing.mix(scored, quality=F.col("__quality"))
 
 
 def op3_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:

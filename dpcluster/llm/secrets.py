@@ -4,7 +4,7 @@ Three base patterns give spans: assignments to names such as ``password``, acces
 runs of hex digits.  The method adds candidate strings (runs of key characters) in which some
 window has a Shannon entropy above the threshold of the string's character class; every candidate but
 one of digits and signs alone has a class.  The entropy
-slides: only the counts of the character that enters and the one that leaves change.  Strings on
+slides: only the counts of the character that enters and the one that leaves are looked up in the window.  Strings on
 the allow-list, and those that touch a base span, are not added.
 
 Spans count code points from 0, end exclusive.  Defined results: null text is empty text and has no
@@ -38,19 +38,25 @@ SLUGS = r"(?-i:" + "|".join(rf"^/?[{x}]{{1,15}}[0-9]{{0,4}}([/_=+-]+([{x}]{{1,15
 ALLOW = r"(?i)^[0-9_=+/-]+$|^[0-9a-f]{8}(-[0-9a-f]{4}){3}-[0-9a-f]{12}$|^sha(1|256|384|512)-|example|dummy|placeholder|xxxx|abcdefgh|01234567|^(/?[a-z]{1,15}[/_-])+[a-z0-9]{0,15}$|" + SLUGS
 
 
-def _located(text: Column, found: Column, keep=None) -> Column:
-    """Start and end of matches, given in order, each looked for after the end of the one before."""
+def _once(value: Column, then) -> Column:
+    """then(value), with the value computed once a row, however often it is used and whatever lambda it is used in."""
+    return F.transform(F.array(value), then)[0]
+
+
+def _located(text: Column, pattern: str, keep=None) -> Column:
+    """Start and end of all matches, from the lengths of what lies between them: the text is not searched again."""
     empty = F.expr("cast(array() as array<struct<s:int,e:int,m:string>>)")
-    state = F.struct(F.lit(1).alias("at"), empty.alias("spans"))
+    state = F.struct(F.lit(0).alias("at"), empty.alias("spans"))
+    both = F.arrays_zip(F.split(text, pattern, -1).alias("gap"), F.regexp_extract_all(text, F.lit(pattern), F.lit(0)).alias("m"))
 
-    def add(acc: Column, m: Column) -> Column:
-        start = F.call_function("locate", m, text, acc["at"])
-        end = (start + F.length(m)).cast("int")
-        span = F.struct((start - 1).cast("int").alias("s"), (end - 1).cast("int").alias("e"), m.alias("m"))
-        spans = F.array_append(acc["spans"], span)
-        return F.struct(end.alias("at"), (F.when(keep(m), spans).otherwise(acc["spans"]) if keep else spans).alias("spans"))
+    def add(acc: Column, x: Column) -> Column:
+        start = acc["at"] + F.length(x["gap"])
+        end = start + F.length(x["m"])
+        spans = F.array_append(acc["spans"], F.struct(start.alias("s"), end.alias("e"), x["m"].alias("m")))
+        fine = x["m"].isNotNull() & keep(x["m"]) if keep else x["m"].isNotNull()
+        return F.struct(F.coalesce(end, start).alias("at"), F.when(fine, spans).otherwise(acc["spans"]).alias("spans"))
 
-    return F.aggregate(found, state, add, lambda acc: acc["spans"])
+    return F.aggregate(both, state, add, lambda acc: acc["spans"])
 
 
 def _part(count: Column) -> Column:
@@ -103,12 +109,16 @@ def _said(spans: Column) -> Column:
 def spans(docs: DataFrame, allow: str = ALLOW, classes=CLASSES) -> DataFrame:
     """The documents with their spans: columns __assign, __access, __hex, __entropy beside the others."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    found = docs.withColumns({"__text": text}).withColumns({f"__m_{k}": F.regexp_extract_all(F.col("__text"), F.lit(p), F.lit(0)) for k, p in (("assign", ASSIGN), ("access", ACCESS), ("hex", HEX), ("entropy", CANDIDATE))})
     long_enough = lambda m: F.length(F.regexp_extract(m, ASSIGN, 2)) >= 6
-    placed = found.withColumns({f"__{k}": _located(F.col("__text"), F.col(f"__m_{k}"), long_enough if k == "assign" else None) for k in KINDS})
-    base = F.concat(F.col("__assign"), F.col("__access"), F.col("__hex"))
-    extra = F.filter(F.col("__entropy"), lambda x: ~F.exists(base, lambda b: (b["s"] < x["e"]) & (x["s"] < b["e"])) & suspicious(x["m"], allow, classes))
-    return placed.withColumns({"__entropy": extra}).drop("__text", *(f"__m_{k}" for k in KINDS))
+    base = [_located(text, p, long_enough if k == "assign" else None) for k, p in (("assign", ASSIGN), ("access", ACCESS), ("hex", HEX))]
+
+    def extra(found: Column) -> Column:
+        apart = lambda x: ~F.exists(F.concat(*(found[k] for k in KINDS[:3])), lambda b: (b["s"] < x["e"]) & (x["s"] < b["e"]))
+        more = F.filter(_located(text, CANDIDATE), lambda x: suspicious(x["m"], allow, classes) & apart(x))
+        return F.struct(*(found[k].alias(k) for k in KINDS[:3]), more.alias("entropy"))
+
+    spans_ = _once(F.struct(*(x.alias(k) for k, x in zip(KINDS, base))), extra)
+    return docs.withColumn("__spans", spans_).select("*", *(F.col(f"__spans.{k}").alias(f"__{k}") for k in KINDS)).drop("__spans")
 
 
 def scan(docs: DataFrame, **options) -> DataFrame:

@@ -153,6 +153,32 @@ def test_mix(spark, docs, messy, empty):
     assert mixing.copies(messy).columns == messy.columns
 
 
+def test_mix_by_hand(spark, docs, messy):
+    """Epochs, then documents in the order of their keys until the words are there, as a loop gives them."""
+    for df in (docs, messy.where("doc_id is null or doc_id <> 7")):
+        quality = F.when(F.col("doc_id") % 5 == 0, F.lit(None)).otherwise(F.length("text") + 1.0)
+        keyed = df.select("doc_id", "source", mixing.n_words(F.col("text")).alias("size"), F.xxhash64(F.lit(17), F.col("doc_id")).alias("h"), quality.alias("q")).collect()
+        targets = {s: (n, t) for s, n, t in mixing.source_targets([(s, sum(r["size"] for r in keyed if r["source"] == s)) for s in {r["source"] for r in keyed}])}
+        want = Counter()
+        for s, (n, t) in targets.items():
+            epochs = int(t // n) if n else 0
+            left = max(0, round(t - n * epochs)) if n else 0
+            mine = [(-math.log((((r["h"] % (1 << 64)) >> 11) + 0.5) / (1 << 53)) / max(r["q"] or 0.0, 1e-6), r["doc_id"], r["size"]) for r in keyed if r["source"] == s]
+            for _, d, size in sorted(mine, key=lambda x: (x[0], x[1] is not None, x[1] or 0, x[2])):
+                part = min(size, left)
+                left -= part
+                want[d, size, epochs * size + part] += 1
+        for rows_ in (50_000, 7):
+            assert Counter(rows(mixing.mix(df, quality=quality, bucket_rows=rows_), "doc_id", "size", "taken")) == want
+
+
+def test_copies_tell_rows_with_one_id_apart(spark):
+    df = spark.createDataFrame([(1, "a " * 50, "s"), (1, "b " * 5, "s"), (2, "c " * 30, "t"), (None, "d " * 10, "t"), (None, "e " * 10, "t")], "doc_id long, text string, source string")
+    got = Counter(r["text"] for r in mixing.copies(df, weights=(1, 1)).collect())
+    taken = {r["size"]: r["taken"] for r in mixing.mix(df.where("source = 's'")).collect()}
+    assert set(got) <= {r["text"] for r in df.collect()} and taken == {50: 50, 5: 5}
+
+
 def test_targets_by_hand():
     assert [t for *_, t in mixing.source_targets([("b", 100), ("a", 10), (None, 50)])] == [pytest.approx(x) for x in (160 / 6, 320 / 6, 80)]
     assert [(s, t) for s, _, t in mixing.source_targets([("a", 1), ("b", 1000), (None, 1)])] == [("a", pytest.approx(3)), ("b", pytest.approx(996)), (None, pytest.approx(3))]
@@ -537,7 +563,13 @@ def test_groups_of_odd_rows(messy, empty):
     assert jaccard.groups(empty).count() == 0 and jaccard.keep_first(empty).count() == 0
     kept = jaccard.keep_first(messy)
     assert kept.columns == messy.columns
-    assert Counter(d for d, in rows(kept, "doc_id")) == Counter([1, 2, 3, 4, 5, 6, 9, 11, 100, 101, 102, None])
+    assert Counter(d for d, in rows(kept, "doc_id")) == Counter([1, 2, 3, 4, 5, 6, 9, 11, 100, 101, 102])
+
+
+def test_different_texts_with_one_id_stay(spark):
+    line = " ".join(f"w{i}" for i in range(50))
+    df = spark.createDataFrame([(1, line), (1, "quite another text of seven words here"), (2, line + " x"), (3, "one text alone with enough words in it"), (None, line), (None, "no id and no copy of anything at all")], "doc_id long, text string")
+    assert sorted(map(str, rows(jaccard.keep_first(df), "doc_id", "text"))) == sorted(map(str, [(1, line), (1, "quite another text of seven words here"), (3, "one text alone with enough words in it"), (None, "no id and no copy of anything at all")]))
 
 
 def test_prefixes_are_enough():
@@ -619,6 +651,21 @@ def test_every_class_of_characters_has_a_threshold(spark):
     assert [masked[i] for i in range(len(keys))] == ["[SECRET]"] * len(keys) and masked[len(keys)] == harmless[0]
 
 
+def test_long_texts_of_candidates_take_linear_time(spark):
+    import time
+
+    rng = np.random.default_rng(9)
+    line = lambda i: "".join(rng.choice([*"abcdefghijkmnpqrstuvwxyzABCDEFGHJKLMNPQRSTUVWXYZ23456789"], 24)) + f" password={i:06d}x "
+    text = "é " + "".join(line(i) for i in range(4_000))
+    df = spark.createDataFrame([(1, text)], "doc_id long, text string")
+    rows(secrets.scan(df.limit(0)), "doc_id")
+    start = time.perf_counter()
+    got = secrets.scan(df).first()
+    assert time.perf_counter() - start < 60 and got["n_assign"] == 4_000
+    base = base_spans(text)
+    assert got["base_sha256"] == hashlib.sha256(said(base).encode()).hexdigest() and got["n_entropy"] > 2000
+
+
 def test_entropy_slides(spark):
     data = ["abc", "a" * 30, "abcdefghijklmnopqrstuvwxyz0123456789" * 2, "aZ9" * 20]
     got = rows(spark.createDataFrame([(x,) for x in data], "t string").select("t", secrets.window_entropy(F.col("t"), 20).alias("h")), "t", "h")
@@ -639,6 +686,30 @@ def test_pipeline_ends_with_the_sequences(spark, messy):
     assert ids[:-1].tolist() == np.frombuffer(next(iter(codec.encode([text]))), "<u4").tolist()
 
 
+def test_pipeline_runs_on_messy_and_empty_tables(spark, messy, empty, small, tmp_path):
+    """The whole pipeline, and what each stage may do to its input."""
+    import corpus_pipeline
+
+    labels = spark.read.parquet(f"{small}/labels.parquet")
+    columns = ["doc_id", "text", "lang", "source", "n_chars"]
+    for name, df, marks in (("messy", messy, labels.where("quality > 5")), ("empty", empty, labels), ("docs", spark.read.parquet(f"{small}/documents.parquet"), labels)):
+        home = str(tmp_path / name)
+        df.select(columns).write.parquet(f"{home}/documents.parquet")
+        marks.write.parquet(f"{home}/labels.parquet")
+        now = spark.read.parquet(f"{home}/documents.parquet")
+        for i, (stage, f) in enumerate(corpus_pipeline.STAGES[:-1]):
+            before, now = now, f(spark, now, home)
+            now.write.parquet(f"{home}/stage{i}")
+            now = spark.read.parquet(f"{home}/stage{i}")
+            assert now.columns == columns
+            if stage in ("quality classifier", "n-gram Jaccard join", "mixing sources"):
+                assert set(rows(now, "doc_id", "text")) <= set(rows(before, "doc_id", "text"))
+            else:
+                assert Counter(rows(now, "doc_id")) == Counter(rows(before, "doc_id"))
+        got = corpus_pipeline.run(spark, home).collect()
+        assert sum(r["length"] for r in got) == sum(r["doc_tokens"] for r in got if r["start"] == 0) and bool(got) == (name != "empty")
+
+
 # --- queries -----------------------------------------------------------------------------------------
 
 
