@@ -29,8 +29,9 @@ def secret_scan(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as often as the mix of sources takes it."""
-    return mixing.copies(docs, quality=F.col("n_chars") / (F.col("n_chars") + 200.0))
+    """Each document as often as the mix of sources takes it; the classifier's scores weigh documents within a source."""
+    scored = quality.with_scores(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"), "__quality")
+    return mixing.copies(scored, quality=F.col("__quality")).drop("__quality")
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
