@@ -1,20 +1,25 @@
 """Exact top-k inner products by pivot-table elimination.
 
-Distances of every row to a few pivots are computed once.  For a query, the largest difference of
-its distances and a row's is a lower bound of their distance, hence with the norms an upper bound
-of their inner product.  Rows are evaluated in the order of that bound until no bound left reaches
-the k-th best score.  Rows and queries meet in blocks of bounded size, dealt by place in the
-input, so that equal vectors or hot ids do not gather.
+Distances of every row to the pivots are computed once and travel with the row.  For a query, the
+largest difference of its distances and a row's is a lower bound of their distance, hence with the
+norms an upper bound of their inner product.  A query starts with the k-th best score among a
+bounded sample of the rows; rows whose bound is below it are never evaluated, the others in the
+order of the bound until no bound left reaches the k-th best score.  Rows and queries meet in blocks
+of bounded size, dealt by place in the input, so that equal vectors or hot ids do not gather.
 
 Pivots are spread-out rows of a bounded sample; they change the work, never the result.
 
 Defined results: rows without an id take no part; a query's candidates are the rows with other ids;
 a repeated query id is searched once, with its least vector; repeated rows are candidates each;
-vectors of a length other than the most common one take no part.
+vectors of a length other than the most common one take no part; components beyond a long
+become its least or greatest value, and sums beyond a long are those of 64-bit arithmetic, which
+wrap: a block of rows where that can happen is evaluated whole, without bounds.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -25,6 +30,8 @@ from dpcluster.llm.scratch import Scratch
 from dpcluster.llm.vectors import best, matrix, usable
 
 ROW_BLOCK, QUERY_BLOCK, PIVOTS, SAMPLE = 32_768, 512, 24, 2_000
+STEP, MARGIN = 6, 1e-6
+LEAST = -(2**63)
 
 
 def quantised(vector: Column, scale: int = 64) -> Column:
@@ -44,47 +51,74 @@ def spread_pivots(sample: np.ndarray, n: int) -> np.ndarray:
     return sample[chosen]
 
 
-def _distances(x: np.ndarray, pivots: np.ndarray) -> np.ndarray:
+def distances(x: np.ndarray, pivots: np.ndarray) -> np.ndarray:
+    """Of each row to each pivot, in single precision; the margins of the bounds cover the rounding."""
     x = x.astype(np.float64)
-    return np.sqrt(np.maximum((x * x).sum(1)[:, None] + (pivots * pivots).sum(1)[None] - 2 * x @ pivots.T, 0))
+    return np.sqrt(np.maximum((x * x).sum(1)[:, None] + (pivots * pivots).sum(1)[None] - 2 * x @ pivots.T, 0)).astype(np.float32)
+
+
+class Products:
+    """Inner products of queries and rows in 64-bit integers; ``exact`` where none can pass a long."""
+
+    def __init__(self, q: np.ndarray, x: np.ndarray):
+        top = [float(np.abs(v.astype(np.float64)).max(initial=0)) for v in (q, x)]
+        size = max(1.0, q.shape[1] * top[0] * top[1])
+        kind = np.float32 if size < 2**24 else np.float64 if size < 2**53 else np.int64  # whichever is exact
+        self.qs, self.xs, self.exact = q.astype(kind, copy=False), x.astype(kind, copy=False), size < 2**62
+
+    def of(self, i: int, rows: np.ndarray) -> np.ndarray:
+        return (self.xs[rows] @ self.qs[i]).astype(np.int64)
 
 
-def search_block(q: np.ndarray, q_ids: np.ndarray, x: np.ndarray, x_ids: np.ndarray, pivots: np.ndarray, k: int, first: int = 256):
-    """Top k of each query among the rows: (query ids, row ids, scores), and how many products were taken."""
-    size = float(q.shape[1]) * max(1.0, float(np.abs(q).max(initial=0))) * max(1.0, float(np.abs(x).max(initial=0)))
-    kind = np.float32 if size < 2**24 else np.float64 if size < 2**53 else np.int64  # whichever is exact
-    xs, qs = x.astype(kind), q.astype(kind)
-    dx, dq = np.ascontiguousarray(_distances(x, pivots).T.astype(np.float32)), _distances(q, pivots).astype(np.float32)
+def first_thresholds(q: np.ndarray, q_ids: np.ndarray, x: np.ndarray, x_ids: np.ndarray, k: int) -> np.ndarray:
+    """For each query the k-th best score among some of its candidates: no lower score is in the answer."""
+    out = np.full(len(q), LEAST, np.int64)
+    if len(q) and len(x) > k:
+        scores_of = Products(q, x)
+        for i in range(len(q)):
+            scores = scores_of.of(i, np.flatnonzero(x_ids != q_ids[i]))
+            if len(scores) >= k:
+                out[i] = np.partition(scores, len(scores) - k)[len(scores) - k]
+    return out
+
+
+def search_block(q: np.ndarray, q_ids: np.ndarray, dq: np.ndarray, least: np.ndarray, x: np.ndarray, x_ids: np.ndarray, dx: np.ndarray, sizes: np.ndarray, k: int, first: int = 256):
+    """Top k of each query among the rows: (query ids, row ids, scores), and how many products were taken.
+
+    dq, dx: distances to the pivots, sizes: the pivots' norms; least: scores below which nothing counts."""
+    scores_of, dx = Products(q, x), np.ascontiguousarray(dx.T)
     x2, q2 = (x.astype(np.float64) ** 2).sum(1), (q.astype(np.float64) ** 2).sum(1)
-    slack = 1e-4 * x2 + 1
-    out, taken = [], 0
+    x_margin, out, taken = (MARGIN * np.sqrt(x2)).astype(np.float32), [], 0
     for i in range(len(q)):
-        low = np.abs(dx[0] - dq[i, 0])
-        for p in range(1, len(dx)):
-            np.maximum(low, np.abs(dx[p] - dq[i, p]), out=low)
-        bound = (q2[i] + x2 - low.astype(np.float64) ** 2) / 2 + slack + 1e-4 * q2[i]
-        open_rows = np.flatnonzero(x_ids != q_ids[i])
-        ids, scores, step = np.zeros(0, np.int64), np.zeros(0, np.int64), first
-        while len(open_rows):
-            if len(open_rows) > step:
-                part = np.argpartition(-bound[open_rows], step - 1)
-                now, open_rows = open_rows[part[:step]], open_rows[part[step:]]
-            else:
-                now, open_rows = open_rows, open_rows[:0]
+        ceiling = (q2[i] + x2) * (0.5 + 1e-9) + 1 if scores_of.exact else np.full(len(x), np.inf)
+        margins = (MARGIN * (sizes + np.sqrt(q2[i]))).astype(np.float32)
+        open_rows, low = np.flatnonzero(x_ids != q_ids[i]), None
+        whole = len(open_rows) == len(x)
+        bound = ceiling[open_rows]
+        for p in range(0, len(dx), STEP):  # some pivots at a time, each on the rows that the ones before have left
+            for j in range(p, min(p + STEP, len(dx))):
+                gap = np.abs((dx[j] if whole else dx[j][open_rows]) - dq[i, j]) - margins[j]
+                low = gap if low is None else np.maximum(low, gap, out=low)
+            bound = ceiling[open_rows] - np.maximum(low - x_margin[open_rows], 0).astype(np.float64) ** 2 / 2
+            keep = bound >= float(least[i])
+            if not keep.all():
+                open_rows, low, bound, whole = open_rows[keep], low[keep], bound[keep], False
+        order = np.argsort(-bound, kind="stable")
+        open_rows, bound = open_rows[order], bound[order]
+        ids, scores, at, step, floor = np.zeros(0, np.int64), np.zeros(0, np.int64), 0, first, float(least[i])
+        while at < len(open_rows) and bound[at] >= floor:
+            now = open_rows[at : at + step]
+            now = now[bound[at : at + step] >= floor]
             taken += len(now)
-            ids, scores = np.concatenate([ids, x_ids[now]]), np.concatenate([scores, (xs[now] @ qs[i]).astype(np.int64)])
-            if len(scores) > k:
-                worst = np.partition(scores, len(scores) - k)[len(scores) - k]
-                keep = scores >= worst
-                ids, scores = ids[keep], scores[keep]
-                if len(scores) > k:
-                    best_of = np.lexsort((ids, -scores))[:k]
-                    ids, scores = ids[best_of], scores[best_of]
-            if len(scores) >= k:
-                open_rows = open_rows[bound[open_rows] >= scores.min()]
-            step *= 4
-        out.append((np.full(len(ids), q_ids[i]), ids, scores))
-    return tuple(np.concatenate(c) if c else np.zeros(0, np.int64) for c in zip(*out)) if out else (np.zeros(0, np.int64),) * 3, taken
+            ids, scores = np.concatenate([ids, x_ids[now]]), np.concatenate([scores, scores_of.of(i, now)])
+            keep = np.lexsort((ids, ~scores))[:k]
+            ids, scores = ids[keep], scores[keep]
+            if len(scores) == k:
+                floor = max(floor, float(scores[-1]))
+            at, step = at + step, step * 4
+        keep = scores >= least[i]
+        out.append((np.full(int(keep.sum()), q_ids[i]), ids[keep], scores[keep]))
+    return tuple(np.concatenate(c) for c in zip(*out)) if out else (np.zeros(0, np.int64),) * 3, taken
 
 
 def search(rows: DataFrame, queries: DataFrame, k: int, pivots: int = PIVOTS, row_block: int = ROW_BLOCK, query_block: int = QUERY_BLOCK) -> DataFrame:
@@ -96,9 +130,23 @@ def search(rows: DataFrame, queries: DataFrame, k: int, pivots: int = PIVOTS, ro
     length, dims = (length["n"], length["count"]) if length else (1, 0)
     rows = rows.where(F.size("v") == length)
     asked = queries.select(F.col("vec_id").cast("long").alias("query_id"), "v").where((F.col("query_id").isNotNull()) & (F.size("v") == length)).groupBy("query_id").agg(F.min("v").alias("v"))
-    asked = tables.write(asked, "asked")
-    sample = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(SAMPLE).select("v").toArrow()
-    chosen = spread_pivots(matrix(sample.column("v"), np.int64), pivots)
+    sample = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(SAMPLE).select("vec_id", "v").toArrow()
+    known, known_ids = matrix(sample.column("v"), np.int64), sample.column("vec_id").to_numpy()
+    chosen = spread_pivots(known, pivots)
+    sizes = np.sqrt((chosen * chosen).sum(1)) if len(chosen) else np.zeros(0)
+
+    def measured(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Adds the distances to the pivots, once for each row, and the first threshold of a query."""
+        for batch in batches:
+            if len(batch):
+                v = matrix(batch.column("v"), np.int64)
+                batch = batch.append_column("d", pa.FixedSizeListArray.from_arrays(pa.array(distances(v, chosen).ravel()), len(chosen)).cast(pa.list_(pa.float32())))
+                if "query_id" in batch.schema.names:
+                    batch = batch.append_column("least", pa.array(first_thresholds(v, batch.column("query_id").to_numpy(), known, known_ids, k)))
+                yield batch
+
+    asked = tables.write(asked.mapInArrow(measured, "query_id long, v array<long>, d array<float>, least long"), "asked")
+    rows = rows.mapInArrow(measured, "vec_id long, v array<long>, d array<float>")
     n_rows, n_queries = max(1, -(-dims // row_block)), max(1, -(-asked.count() // query_block))
     place = F.monotonically_increasing_id()
     left = rows.withColumn("rb", F.pmod(place, F.lit(n_rows)).cast("int")).withColumn("qb", F.explode(F.sequence(F.lit(0), F.lit(n_queries - 1))))
@@ -108,7 +156,10 @@ def search(rows: DataFrame, queries: DataFrame, k: int, pivots: int = PIVOTS, ro
     def run(x: pa.Table, q: pa.Table) -> pa.Table:
         if not len(x) or not len(q):
             return schema.empty_table()
-        found, _ = search_block(matrix(q.column("v"), np.int64), q.column("query_id").to_numpy(), matrix(x.column("v"), np.int64), x.column("vec_id").to_numpy(), chosen, k)
+        found, _ = search_block(
+            matrix(q.column("v"), np.int64), q.column("query_id").to_numpy(), matrix(q.column("d"), np.float32), q.column("least").to_numpy(),
+            matrix(x.column("v"), np.int64), x.column("vec_id").to_numpy(), matrix(x.column("d"), np.float32), sizes, k,
+        )
         return pa.table(found, schema=schema)
 
     found = left.groupBy("rb", "qb").cogroup(right.groupBy("rb", "qb")).applyInArrow(run, "query_id long, vec_id long, score long")

@@ -103,8 +103,13 @@ def test_pivots_spare_products():
     rng = np.random.default_rng(2)
     centres = rng.integers(-500, 500, (20, 8))
     x = (centres[rng.integers(0, 20, 4000)] + rng.integers(-3, 4, (4000, 8))).astype(np.int64)
-    _, taken = pivots.search_block(x[:5], np.arange(5), x, np.arange(4000), pivots.spread_pivots(x[:500], 16), 10, first=64)
+    chosen = pivots.spread_pivots(x[:500], 16)
+    d, ids, sizes = pivots.distances(x, chosen), np.arange(4000), np.sqrt((chosen**2).sum(1))
+    none, some = np.full(5, pivots.LEAST), pivots.first_thresholds(x[:5], ids[:5], x[:500], ids[:500], 10)
+    found, taken = pivots.search_block(x[:5], ids[:5], d[:5], none, x, ids, d, sizes, 10, first=64)
     assert taken < 5 * 4000 * 0.7
+    again, fewer = pivots.search_block(x[:5], ids[:5], d[:5], some, x, ids, d, sizes, 10, first=64)
+    assert fewer <= taken and all((a == b).all() for a, b in zip(found, again))
 
 
 def test_large_components_stay_exact(spark):
@@ -112,6 +117,15 @@ def test_large_components_stay_exact(spark):
     assert found(pivots.search_table(df)) == brute(df, 20, 20, True, True)
 
 
+def test_far_pivots_and_sums_beyond_a_long(spark):
+    """Distances to a far pivot are rounded by more than near rows differ; sums beyond a long wrap, whatever the blocks."""
+    rows = [(i, [float(i % 7), float(i % 5), 1.0]) for i in range(80)] + [(100, [1e7, -1e7, 0.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    assert found(pivots.search_table(df)) == brute(df, 20, 20, True, True)
+    more = df.union(spark.createDataFrame([(120, [1e9, 0.0, 1e9]), (121, [-1e9, 5e8, 1.0])], df.schema))
+    assert found(pivots.search_table(more, row_block=16, query_block=2)) == found(pivots.search_table(more)) == brute(more, 20, 20, True, True)
+
+
 def test_multi_index_recall(spark, small):
     for df, blocks in ((messy_vectors(spark), dict(shard_rows=48, query_block=2, centroids=5)), (spark.read.parquet(f"{small}/embeddings.parquet"), {})):
         got, want = found(multi_index.search_table(df, every=20, **blocks)), brute(df, 20, 10, False, False)
