@@ -67,7 +67,8 @@ class Products:
         self.qs, self.xs, self.exact = q.astype(kind, copy=False), x.astype(kind, copy=False), size < 2**62
 
     def of(self, i: int, rows: np.ndarray) -> np.ndarray:
-        return (self.xs[rows] @ self.qs[i]).astype(np.int64)
+        few = 6 * len(rows) < len(self.xs)  # gathering rows costs more than a product
+        return (self.xs[rows] @ self.qs[i] if few else (self.xs @ self.qs[i])[rows]).astype(np.int64)
 
 
 def first_thresholds(q: np.ndarray, q_ids: np.ndarray, x: np.ndarray, x_ids: np.ndarray, k: int) -> np.ndarray:
@@ -92,32 +93,50 @@ def search_block(q: np.ndarray, q_ids: np.ndarray, dq: np.ndarray, least: np.nda
     for i in range(len(q)):
         ceiling = (q2[i] + x2) * (0.5 + 1e-9) + 1 if scores_of.exact else np.full(len(x), np.inf)
         margins = (MARGIN * (sizes + np.sqrt(q2[i]))).astype(np.float32)
-        open_rows, low = np.flatnonzero(x_ids != q_ids[i]), None
-        whole = len(open_rows) == len(x)
-        bound = ceiling[open_rows]
+        open_rows, low, other = np.arange(len(x)), np.zeros(len(x), np.float32), x_ids != q_ids[i]
+        bound, gap = ceiling, np.empty(len(x), np.float32)
         for p in range(0, len(dx), STEP):  # some pivots at a time, each on the rows that the ones before have left
+            whole = 2 * len(open_rows) > len(x)
             for j in range(p, min(p + STEP, len(dx))):
-                gap = np.abs((dx[j] if whole else dx[j][open_rows]) - dq[i, j]) - margins[j]
-                low = gap if low is None else np.maximum(low, gap, out=low)
-            bound = ceiling[open_rows] - np.maximum(low - x_margin[open_rows], 0).astype(np.float64) ** 2 / 2
-            keep = bound >= float(least[i])
-            if not keep.all():
-                open_rows, low, bound, whole = open_rows[keep], low[keep], bound[keep], False
-        order = np.argsort(-bound, kind="stable")
-        open_rows, bound = open_rows[order], bound[order]
-        ids, scores, at, step, floor = np.zeros(0, np.int64), np.zeros(0, np.int64), 0, first, float(least[i])
-        while at < len(open_rows) and bound[at] >= floor:
-            now = open_rows[at : at + step]
-            now = now[bound[at : at + step] >= floor]
+                if whole:
+                    np.subtract(dx[j], dq[i, j], out=gap)
+                else:
+                    gap = dx[j][open_rows] - dq[i, j]
+                np.abs(gap, out=gap)
+                gap -= margins[j]
+                np.maximum(low, gap, out=low)
+            if whole:
+                bound = ceiling - np.square(np.maximum(low - x_margin, 0), dtype=np.float64) / 2
+                open_rows = np.flatnonzero((bound >= float(least[i])) & other)
+                if 2 * len(open_rows) <= len(x) or p + STEP >= len(dx):
+                    bound, low = bound[open_rows], low[open_rows]
+            else:
+                bound = ceiling[open_rows] - np.square(np.maximum(low - x_margin[open_rows], 0), dtype=np.float64) / 2
+                keep = bound >= float(least[i])
+                open_rows, low, bound = open_rows[keep], low[keep], bound[keep]
+        ids, scores, step, floor = np.zeros(0, np.int64), np.zeros(0, np.int64), first, least[i]
+        while len(open_rows):
+            now = open_rows
+            if len(now) > step:
+                part = np.argpartition(-bound, step - 1)
+                now, open_rows, bound = open_rows[part[:step]], open_rows[part[step:]], bound[part[step:]]
+            else:
+                open_rows = open_rows[:0]
             taken += len(now)
-            ids, scores = np.concatenate([ids, x_ids[now]]), np.concatenate([scores, scores_of.of(i, now)])
-            keep = np.lexsort((ids, ~scores))[:k]
-            ids, scores = ids[keep], scores[keep]
-            if len(scores) == k:
-                floor = max(floor, float(scores[-1]))
-            at, step = at + step, step * 4
-        keep = scores >= least[i]
-        out.append((np.full(int(keep.sum()), q_ids[i]), ids[keep], scores[keep]))
+            new = scores_of.of(i, now)
+            good = new >= floor
+            ids, scores = np.concatenate([ids, x_ids[now[good]]]), np.concatenate([scores, new[good]])
+            if len(scores) >= k:
+                floor = max(floor, np.partition(scores, len(scores) - k)[len(scores) - k])
+                good = scores >= floor
+                ids, scores = ids[good], scores[good]
+                good = np.lexsort((ids, ~scores))[:k]
+                ids, scores = ids[good], scores[good]
+                keep = bound >= float(floor)
+                if len(open_rows) and not keep.all():
+                    open_rows, bound = open_rows[keep], bound[keep]
+            step *= 4
+        out.append((np.full(len(ids), q_ids[i]), ids, scores))
     return tuple(np.concatenate(c) for c in zip(*out)) if out else (np.zeros(0, np.int64),) * 3, taken
 
 
