@@ -11,6 +11,7 @@ around it, and the tokenizer sees these in one piece.
 
 from __future__ import annotations
 
+import ctypes
 import itertools
 import os
 import re
@@ -28,6 +29,7 @@ AT_ONCE, LONGEST = 1 << 20, 200
 JOINED = 256
 
 #: Chunks for byte-level tokenizers: a word with the space before it, or a run of white space.
+_LIBC = ctypes.CDLL(None)
 _SPACED = re.compile(r" ?[^ \t\n\r]+|[ \t\n\r]+(?![^ \t\n\r])|[ \t\n\r]+")
 _ODD = re.compile("[" + "".join(map(chr, (11, 12, 28, 29, 30, 31, 133, 160, 5760, *range(8192, 8203), 8232, 8233, 8239, 8287, 12288))) + "]")
 _SAFE_CUT = re.compile(rb"[!-~](?= [!-~])")
@@ -394,6 +396,14 @@ def forget() -> None:
     """Frees the caches of this worker; stages that don't tokenize call it, as workers outlive stages."""
     _CODECS.clear()
     _POWERS.clear()
+    trim()
+
+
+def trim() -> None:
+    """Hands freed memory back to the system, which the allocators of Arrow and C keep otherwise."""
+    pa.default_memory_pool().release_unused()
+    if hasattr(_LIBC, "malloc_trim"):
+        _LIBC.malloc_trim(0)
 
 
 def tokenizer_path(name: str) -> str:
@@ -407,3 +417,5 @@ def small_batches(batches, rows: int = 256):
     for batch in batches:
         for at in range(0, batch.num_rows, rows):
             yield batch.slice(at, rows)
+        del batch
+        trim()
