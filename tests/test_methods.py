@@ -435,3 +435,44 @@ def test_two_stage_queries_have_the_planner_s_own_grid_and_starts(spark, small,
     with pytest.raises(Seen) as seen:
         catalog.queries()[name](spark, small)
     assert seen.value.args == (30, None, True)
+
+
+def test_point_trees_cost_what_a_scan_costs(spark, monkeypatch):
+    from dpcluster.operators import point_trees as pt
+
+    monkeypatch.setattr(pt, "BLOCK", 700)
+    rng = np.random.default_rng(3)
+    for d, k in ((1, 2), (2, 5), (3, 3), (6, 4)):
+        x, w = rng.uniform(-1, 1, (2000, d)), rng.integers(0, 4, 2000).astype(float)
+        x[:300] = x[0]  # many equal points
+        sets = rng.uniform(-1, 1, (30, k, d))
+        sets[1] = sets[1, 0]  # equal centroids
+        brute = (((x[:, None, None, :] - sets[None]) ** 2).sum(3).min(2) * w[:, None]).sum(0)
+        assert np.allclose(pt.Tree.unpack(*pt.Tree.build(x, w).pack()).costs(sets), brute, rtol=1e-10)
+        df = spark.createDataFrame([(*map(float, p), float(v)) for p, v in zip(x, w)], ", ".join(f"x{i} double" for i in range(d)) + ", w double").repartition(3)
+        assert np.allclose(pt.tree_costs(pt.point_trees(df, [f"x{i}" for i in range(d)], "w"), sets), brute, rtol=1e-10)
+    for n in (0, 1, 2):
+        assert np.allclose(pt.Tree.build(x[:n], w[:n]).costs(sets), (((x[:n, None, None] - sets[None]) ** 2).sum(3).min(2) * w[:n, None]).sum(0))
+
+
+@pytest.mark.parametrize("keep, dim", [(1, 1), (1, 4), (2, 3), (5, 6)])
+def test_children_on_the_driver_are_those_of_spark(spark, keep, dim):
+    from dpcluster.operators.evolve import children
+
+    rng = np.random.default_rng(keep)
+    parents = rng.uniform(-1, 1, (2, keep, dim))
+    rows = [(r, p, parents[r, p].tolist()) for r in range(2) for p in range(keep)]
+    want = {(x["run"], x["cand"]): x["theta"] for x in offspring(spark.createDataFrame(rows, "run long, place int, theta array<double>"), keep, 9, dim, 0.5, SRC, "both").collect()}
+    got = children(parents, 9, 0.5, SRC, "both")
+    assert all(np.allclose(got[k], v) for k, v in want.items()) and len(want) == 18
+
+
+def test_a_round_of_evolution_is_one_job(spark, clusters):
+    of = lambda rounds: evolve(clusters, ["x0", "x1"], 5, 1.0, 10_000, pool=20, rounds=rounds, source=SRC)
+    jobs = []
+    for rounds in (2, 12):
+        spark.sparkContext.setJobGroup(f"evolve-{rounds}", "rounds")
+        of(rounds)
+        jobs.append(len(spark.sparkContext.statusTracker().getJobIdsForGroup(f"evolve-{rounds}")))
+    spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert jobs[1] - jobs[0] == 10
