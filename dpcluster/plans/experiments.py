@@ -17,7 +17,7 @@ from dpcluster.operators import evolve as ev
 from dpcluster.operators.centroids import init_sets
 from dpcluster.operators.grid import grid_spec, cells_general, range_count, range_count_exact, release_grid, fixed_boxes, GridSpec
 from dpcluster.operators.grid_kmeans import grid_kmeans_many
-from dpcluster.operators.lloyd import best_of, lloyd_many, nicv, nicv_many
+from dpcluster.operators.lloyd import best_of, grouped, lloyd_many, nicv, nicv_many
 from dpcluster.operators.noisy_lloyd import noisy_lloyd_many
 from dpcluster.operators.two_stage import two_stage_many
 from dpcluster.plans.metrics import RESULT, timed
@@ -116,13 +116,15 @@ def block_sizes(spark: SparkSession, df: DataFrame, d: int, k: int, eps: float,
 
 
 def convergence(spark: SparkSession, df: DataFrame, d: int, k: int, n_inits: int, rounds: int = 12) -> DataFrame:
-    """NICV by iteration: the mean over starts of plain rounds, and non-private evolution."""
+    """NICV by iteration: the mean over starts of plain rounds, and non-private evolution.
+
+    Equal points are grouped once; a table that ``grouped`` made is taken as it is."""
     cols = [f"x{i}" for i in range(d)]
-    df = df.select(*cols).persist()
-    n = df.count()
-    _, costs, _ = lloyd_many(df, cols, init_sets(n_inits, k, d), rounds)
+    df = df if "__rows" in df.columns else grouped(df, cols, "__rows").persist()
+    n = df.agg(F.sum("__rows")).first()[0]
+    _, costs, _ = lloyd_many(df, cols, init_sets(n_inits, k, d), rounds, weight="__rows")
     rows = [("lloyd", i, sum(c[min(i, len(c) - 1)] for c in costs) / len(costs)) for i in range(rounds)]
-    evolved = ev.evolve(df, cols, k, 1.0, n, rounds=rounds, private=False)
+    evolved = ev.evolve(df, cols, k, 1.0, n, rounds=rounds, private=False, weight="__rows")
     rows += [("evolve", i, float(v) / n) for i, v in enumerate(evolved.trace)]
     return spark.createDataFrame([(m, i, float(v)) for m, i, v in rows], "run string, iteration int, nicv double")
 

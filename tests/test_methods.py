@@ -476,3 +476,17 @@ def test_a_round_of_evolution_is_one_job(spark, clusters):
         jobs.append(len(spark.sparkContext.statusTracker().getJobIdsForGroup(f"evolve-{rounds}")))
     spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
     assert jobs[1] - jobs[0] == 10
+
+
+def test_best_of_counts_weights_in_its_last_costs(spark):
+    from dpcluster.operators.lloyd import grouped
+
+    rng = np.random.default_rng(5)
+    x = rng.integers(-4, 5, (3000, 2)) / 4.0
+    df = spark.createDataFrame([(float(a), float(b)) for a, b in x], "x0 double, x1 double")
+    once = grouped(df.where("x0 > 0").unionAll(df), ["x0", "x1"], "w")
+    assert once.count() == 81 and once.agg(F.sum("w")).first()[0] == 3000 + int((x[:, 0] > 0).sum())
+    sets = init_sets(4, 3, 2)
+    a = best_of(df.where("x0 > 0").unionAll(df), ["x0", "x1"], sets)
+    b = best_of(once, ["x0", "x1"], sets, weight="w")
+    assert a[1] == pytest.approx(b[1], rel=1e-9) and np.allclose(a[0], b[0])
