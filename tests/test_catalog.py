@@ -29,6 +29,15 @@ def test_query_gives_rows(spark, small, name):
     assert QUERIES[name](spark, small).count() > 0
 
 
+READING = "align_lexicographic bias2_grid_table block_counts block_counts_3k block_noise_scale block_size_sweep centroid_mse_delta centroid_mse_empirical centroid_pairs centroids_as_arrays crossover eps_threshold_table".split()
+
+
+@pytest.mark.parametrize("name", READING)
+def test_query_needs_its_table(spark, tmp_path, name):
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        QUERIES[name](spark, str(tmp_path)).collect()
+
+
 def test_entry_imports_without_the_training_data_operators(tmp_path):
     import subprocess
 
